@@ -24,5 +24,45 @@ FROM p GROUP BY conv_id
 """
 
 
+WORDS = r"""string_split_regex(trim(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), chr(32) || chr(9) || chr(10) || chr(11) || chr(12) || chr(13)), '[\x20\x09-\x0D]+')"""
+
+OP6 = f"""
+WITH items AS (SELECT item_id, {WORDS} AS w FROM benchmark), docs AS (SELECT doc_id, {WORDS} AS w FROM documents),
+q AS (SELECT DISTINCT item_id, least(len(w), 5) AS width, array_to_string(w[i + 1 : i + least(len(w), 5)], ' ') AS g
+      FROM (SELECT item_id, w, unnest(range(0, len(w) - least(len(w), 5) + 1)) AS i FROM items WHERE w <> ['']) x),
+n AS (SELECT item_id, count(*) AS item_shingles FROM q GROUP BY item_id),
+d AS (SELECT DISTINCT doc_id, 5 AS width, array_to_string(w[i + 1 : i + 5], ' ') AS g
+      FROM (SELECT doc_id, w, unnest(range(0, len(w) - 4)) AS i FROM docs WHERE len(w) >= 5) x),
+m AS (SELECT doc_id, q.item_id, count(*) AS common FROM d JOIN q ON d.width = q.width AND d.g = q.g GROUP BY doc_id, q.item_id)
+SELECT m.doc_id, m.item_id, n.item_shingles, m.common, m.common / n.item_shingles AS containment
+FROM m JOIN n ON m.item_id = n.item_id WHERE m.common * 100 >= n.item_shingles * 75
+"""
+
+
+def _op3() -> str:
+    """The rules as SQL: the run of each rule is looked for and taken out of what is left, one after the other."""
+    from .license_scan import RULES, known_sentences
+
+    known = " UNION ALL ".join(f"SELECT '{s}' AS s, '{name}' AS id" for s, name in known_sentences().items())
+    steps, names = [], []
+    for k, (name, run) in enumerate(RULES):
+        piece = "".join(f"|{x}|" for x in run)
+        steps.append(f"r{k + 1} AS (SELECT * EXCLUDE (rest), CASE WHEN contains(rest, '{piece}') THEN '{name}' END AS l{k}, replace(rest, '{piece}', '||.||') AS rest FROM r{k})")
+        names.append(f"l{k}")
+    firsts = []
+    for k, (name, _) in enumerate(RULES):  # a name only where no rule before has given it
+        before = [f"l{j} IS NULL" for j in range(k) if RULES[j][0] == name]
+        firsts.append(f"CASE WHEN {' AND '.join([*before, 'true'])} THEN l{k} END")
+    return rf"""
+WITH known AS ({known}),
+parts AS (SELECT doc_id, unnest(string_split_regex(lower(coalesce(text, '')), '[.!?][\x20\x09-\x0D]+|\n')) AS s,
+            generate_subscripts(string_split_regex(lower(coalesce(text, '')), '[.!?][\x20\x09-\x0D]+|\n'), 1) AS i FROM documents),
+hits AS (SELECT doc_id, i, id FROM (SELECT doc_id, i, trim(regexp_replace(s, '[^a-z0-9]+', ' ', 'g')) AS s FROM parts) p JOIN known ON p.s = known.s),
+r0 AS (SELECT doc_id, count(*) AS n_sentences, string_agg(id, '|' ORDER BY i) AS sentence_ids, '|' || string_agg(id, '||' ORDER BY i) || '|' AS rest FROM hits GROUP BY doc_id),
+{", ".join(steps)}
+SELECT doc_id, n_sentences, sentence_ids, concat_ws('|', {", ".join(firsts)}) AS licenses FROM r{len(RULES)}
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op2_exact_dedup": OP2, "op7_chat_format": OP7}
+    return {"op2_exact_dedup": OP2, "op3_license_scan": _op3(), "op6_decontamination": OP6, "op7_chat_format": OP7}
