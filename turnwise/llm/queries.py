@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat_format, decontamination, exact_dedup, language_id, license_scan, packing, sharding, token_counts, toxicity
+from . import chat_format, decontamination, exact_dedup, jaccard_join, language_id, license_scan, packing, sharding, token_counts, toxicity
 from .common import table
 
 
@@ -17,6 +17,10 @@ def tokenizer_path(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+def op1_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard_join.near_duplicates(table(spark, sf_dir, "documents"))
+
+
 def op2_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.progressive_duplicates(table(spark, sf_dir, "documents"), digest_all=True)
 
@@ -62,5 +66,5 @@ def op10_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    every = (op2_exact_dedup, op3_license_scan, op4_sharding, op5_packing, op6_decontamination, op7_chat_format, op8_language_id, op9_toxicity, op10_token_counts)
+    every = (op1_jaccard_join, op2_exact_dedup, op3_license_scan, op4_sharding, op5_packing, op6_decontamination, op7_chat_format, op8_language_id, op9_toxicity, op10_token_counts)
     return {f.__name__: f for f in every}
