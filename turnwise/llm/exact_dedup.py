@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, folded, is_small, without_ids
+from .common import cut, folded, free_name, is_small, without_ids
 
 PREFIX_CHARS = 256
 
@@ -67,5 +67,6 @@ def keep_first(docs: DataFrame, key: str = "doc_id", text: str = "text") -> Data
     repeated = cut(by_id.filter("any and n > 1").select(key))
     if repeated.isEmpty():
         return left
-    one = left.join(repeated, key, "left_semi").withColumn("_h", F.sha2(folded(F.col(text)), 256)).dropDuplicates([key, "_h"]).drop("_h")
+    h = free_name(docs, "_hash")
+    one = left.join(repeated, key, "left_semi").withColumn(h, F.sha2(folded(F.col(text)), 256)).dropDuplicates([key, h]).drop(h)
     return without_ids(left, repeated, key).unionByName(one)

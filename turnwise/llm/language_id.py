@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import by_value, process_cache
+from .common import by_value, free_name, process_cache
 
 by_value(__name__)
 
@@ -205,4 +205,5 @@ def identify(docs: DataFrame, learn_from: DataFrame | None = None, key: str = "d
 def recognised(docs: DataFrame, key: str = "doc_id", text: str = "text", lang: str = "lang") -> DataFrame:
     """docs without the rows whose text is in no language (null or without a letter); all columns as they were."""
     predict = predictor(docs, docs, key, text, lang)
-    return docs.withColumn("_p", predict(F.col(text))).filter(F.col("_p.lang_pred") != UND).drop("_p")
+    found = free_name(docs, "_found")
+    return docs.withColumn(found, predict(F.col(text))).filter(F.col(found)["lang_pred"] != UND).drop(found)
