@@ -5,6 +5,7 @@ from __future__ import annotations
 import sys
 import tempfile
 import types
+import uuid
 
 from pyspark import cloudpickle
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -25,12 +26,16 @@ def by_value(module_name: str) -> None:
 by_value(__name__)
 
 
-def process_cache() -> dict:
-    """A dictionary that lives as long as the Python worker, whatever task runs in it."""
+def process_cache(owner: str) -> dict:
+    """A dictionary that lives as long as the Python worker, until another owner asks: one operator's memory at a time."""
     name = "_turnwise_worker_cache"
     if name not in sys.modules:
         sys.modules[name] = types.ModuleType(name)
         sys.modules[name].store = {}
+        sys.modules[name].owner = owner
+    if sys.modules[name].owner != owner:
+        sys.modules[name].store = {}
+        sys.modules[name].owner = owner
     return sys.modules[name].store
 
 
@@ -50,6 +55,22 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def written(df: DataFrame) -> tuple[DataFrame, str]:
+    """df as a Parquet table in the shared folder (smaller than a checkpoint), and its path, for removed()."""
+    spark = df.sparkSession
+    shared_folder(spark)
+    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext._jsc.sc().getCheckpointDir().get()
+    path = f"{base}/table-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path), path
+
+
+def removed(spark: SparkSession, path: str) -> None:
+    """Delete a written table, on whatever file system it is."""
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+
+
 def folded(text: Column) -> Column:
     """Null as empty; each run of ASCII white space as one space."""
     return F.regexp_replace(F.coalesce(text, F.lit("")), SPACES, " ")

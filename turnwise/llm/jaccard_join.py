@@ -33,8 +33,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
-from .common import by_value, cut, is_small, process_cache, without_ids
+from .common import by_value, cut, is_small, process_cache, removed, without_ids, written
 
 by_value(__name__)
 
@@ -45,11 +46,14 @@ FIRST_SUM = 14
 #: Parts of a band for each shingle of its largest difference, and shared tokens asked for beyond one.
 PARTS, MORE = 3, 3
 SKETCH_BITS = 1024
-KEYS_PER_BUCKET = 2_000_000
-BLOCK = 4096
+KEYS_PER_BUCKET = 500_000
+#: Texts whose tokens are held at a time.
+TEXTS = 1500
+#: Groups of at most SMALL sets give their remaining pairs at once; larger ones are compared by sketch, in blocks.
+SMALL, BLOCK = 256, 4096
 _C = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F], dtype=np.uint64)
 _M1, _M2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
-WORD_MEMO = 500_000
+WORD_MEMO = 200_000
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -135,7 +139,7 @@ def set_name(h: np.ndarray) -> int:
 
 
 def known_words() -> Words:
-    return process_cache().setdefault("words", Words())
+    return process_cache("shingles").setdefault("words", Words())
 
 
 def named_sets(docs: DataFrame, key: str, text: str) -> DataFrame:
@@ -163,9 +167,9 @@ def shared_tokens(docs: DataFrame, text: str, buckets: int) -> DataFrame:
 
     def deal(batches):
         known = known_words()
-        for b in batches:
+        for column in (b.column(0).slice(k, TEXTS) for b in batches for k in range(0, b.num_rows, TEXTS)):
             names, sizes, band, ask, count, every, seen = [], [], [], [], [], [], set()
-            for v in b.column(0):
+            for v in column:
                 h = shingle_set(v.as_py(), known)
                 if not len(h) or (name := set_name(h)) in seen:
                     continue
@@ -286,50 +290,82 @@ def met_in_groups(shared: DataFrame, buckets: int) -> DataFrame:
     def stars(table: pa.Table) -> pa.Table:
         name, n, token, degree = (table.column(c).to_numpy() for c in ("name", "n", "token", "degree"))
         order = np.lexsort((name, -degree, token))
-        name, n, token = name[order], n[order], token[order]
+        name, n, token = name[order], n[order].astype(np.int64), token[order]
         edge = np.flatnonzero(np.concatenate(([True], token[1:] != token[:-1], [True])))
-        lo, hi = [], []
+        parts = []
         for i, j in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True):
             left_name, left_n = name[i:j], n[i:j]
             while len(left_name) > 1:  # the best-connected set, those of its size range, then what is left
                 c, s = left_name[0], left_n[0]
-                fits = (100 * left_n >= PERCENT * s) & (100 * s >= PERCENT * left_n)
-                other = left_name[1:][fits[1:]]
-                lo.append(np.minimum(other, c))
-                hi.append(np.maximum(other, c))
-                left_name, left_n = left_name[~fits], left_n[~fits]
-        a = np.concatenate(lo) if lo else np.zeros(0, np.int64)
-        b = np.concatenate(hi) if hi else np.zeros(0, np.int64)
-        order = np.lexsort((b, a))
-        a, b = a[order], b[order]
-        new = np.concatenate(([True], (a[1:] != a[:-1]) | (b[1:] != b[:-1])))[: len(a)]
-        return pa.table([pa.array(a[new]), pa.array(b[new])], names=["a", "b"])
+                near = fits(left_n, s)
+                other = left_name[1:][near[1:]]
+                parts.append((np.full(len(other), c), other))
+                left_name, left_n = left_name[~near], left_n[~near]
+        return distinct_pairs(parts)
 
     return shared.groupBy(F.pmod(F.xxhash64("token"), F.lit(buckets)).alias("bucket")).applyInArrow(stars, "a long, b long").distinct()
 
 
-def across(open_groups: DataFrame, sets: DataFrame) -> DataFrame:
-    """Pairs (a < b) of different components in one token's group whose sketches are close enough; compared in blocks."""
+def fits(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Whether sets of these sizes can link at all."""
+    return (100 * a >= PERCENT * b) & (100 * b >= PERCENT * a)
+
+
+def distinct_pairs(parts: list[tuple[np.ndarray, np.ndarray]]) -> pa.Table:
+    """(a, b) with a < b, each once."""
+    x = np.concatenate([p[0] for p in parts]) if parts else np.zeros(0, np.int64)
+    y = np.concatenate([p[1] for p in parts]) if parts else np.zeros(0, np.int64)
+    a, b = np.minimum(x, y), np.maximum(x, y)
+    order = np.lexsort((b, a))
+    a, b = a[order], b[order]
+    new = np.concatenate(([True], (a[1:] != a[:-1]) | (b[1:] != b[:-1])))[: len(a)]
+    return pa.table([pa.array(a[new]), pa.array(b[new])], names=["a", "b"])
+
+
+def across_small(open_groups: DataFrame, buckets: int) -> DataFrame:
+    """Pairs (a < b) of different components in groups of at most SMALL sets: at most SMALL squared of them a group."""
+
+    def cross(table: pa.Table) -> pa.Table:
+        name, n, root, token = (table.column(c).to_numpy() for c in ("name", "n", "root", "token"))
+        order = np.argsort(token, kind="stable")
+        name, n, root, token = name[order], n[order].astype(np.int64), root[order], token[order]
+        first = np.flatnonzero(np.concatenate(([True], token[1:] != token[:-1])))
+        size = np.diff(first, append=len(token))
+        parts = []
+        for m in np.unique(size).tolist():  # all groups of one size at once, some thousands of pairs at a time
+            i, j = np.triu_indices(m, 1)
+            starts = first[size == m]
+            step = max(1, 2_000_000 // max(1, len(i)))
+            for k in range(0, len(starts), step):
+                x, y = ((starts[k : k + step, None] + z[None, :]).ravel() for z in (i, j))
+                keep = (root[x] != root[y]) & fits(n[x], n[y])
+                parts.append((name[x[keep]], name[y[keep]]))
+        return distinct_pairs(parts)
+
+    return open_groups.groupBy(F.pmod(F.xxhash64("token"), F.lit(buckets)).alias("bucket")).applyInArrow(cross, "a long, b long").distinct()
+
+
+def across_large(open_groups: DataFrame, sets: DataFrame) -> DataFrame:
+    """The same in groups of any size, compared by sketch in blocks; only pairs that are close enough come out."""
 
     def compare(table: pa.Table) -> pa.Table:
         name, n, root, side = (table.column(c).to_numpy() for c in ("name", "n", "root", "side"))
+        n = n.astype(np.int64)
         bits = np.frombuffer(b"".join(table.column("sketch").to_pylist()), dtype=np.uint64).reshape(len(name), -1)
         one = table.column("i")[0].as_py() == table.column("j")[0].as_py()
         p = np.flatnonzero(side == 0)
         q = p if one else np.flatnonzero(side == 1)
-        out_a, out_b = [], []
+        if one:  # pairs inside the largest component need no look
+            values, counts = np.unique(root, return_counts=True)
+            p = p[root[p] != values[counts.argmax()]]
+        parts = []
         for k in p:
-            fit = q[(root[q] != root[k]) & (100 * n[q] >= PERCENT * n[k]) & (100 * n[k] >= PERCENT * n[q])]
-            if one:
-                fit = fit[name[fit] > name[k]]
+            fit = q[(root[q] != root[k]) & fits(n[q], n[k])]
             if len(fit):
-                far = np.bitwise_count(bits[fit] ^ bits[k]).sum(axis=1)
+                far = np.bitwise_count(bits[fit] ^ bits[k]).sum(axis=1, dtype=np.int64)
                 fit = fit[far <= (n[fit] + n[k]) * (100 - PERCENT) // (100 + PERCENT)]
-                out_a.append(np.minimum(name[fit], name[k]))
-                out_b.append(np.maximum(name[fit], name[k]))
-        a = np.concatenate(out_a) if out_a else np.zeros(0, np.int64)
-        b = np.concatenate(out_b) if out_b else np.zeros(0, np.int64)
-        return pa.table([pa.array(a), pa.array(b)], names=["a", "b"])
+                parts.append((np.full(len(fit), name[k]), name[fit]))
+        return distinct_pairs(parts)
 
     blocks = F.ceil(F.col("members") / BLOCK).cast("int")
     own = F.pmod(F.xxhash64("name"), blocks).cast("int")
@@ -343,24 +379,27 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text") ->
     """doc_id, n_shingles, component_id of every document."""
     named = cut(named_sets(docs, key, text))
     total = named.agg(F.sum("n_shingles")).first()[0] or 0
-    buckets = max(1, math.ceil(total * 0.6 / KEYS_PER_BUCKET))
-    shared = cut(shared_tokens(docs, text, buckets))
-    enough = shared.groupBy("name", "band").agg(F.count("*").alias("had"), F.max("asked").alias("asked")).filter("had >= asked")
-    degree = enough.groupBy("name").agg(F.sum("had").alias("degree"))
-    kept = cut(shared.join(enough.select("name", "band"), ["name", "band"], "left_semi").join(degree, "name").select("name", "n", "token", "degree"))
-    buckets = max(1, math.ceil(kept.count() / KEYS_PER_BUCKET)) * 12
+    shared, path = written(shared_tokens(docs, text, max(1, math.ceil(total * 0.6 / KEYS_PER_BUCKET))))
+    enough = shared.groupBy("name", "band").agg(F.count("*").alias("had"), F.max("asked").alias("asked")).filter("had >= asked").select("name", "band", "had")
+    enough = cut(enough.withColumn("degree", F.sum("had").over(Window.partitionBy("name"))).select("name", "band", "degree"))  # a set has a few bands
+    kept = shared.select("name", "band", "n", "token").join(F.broadcast(enough) if is_small(enough) else enough, ["name", "band"]).select("name", "n", "token", "degree")
+    buckets = 12 * max(1, math.ceil(shared.count() / KEYS_PER_BUCKET / 12))
     pairs = cut(met_in_groups(kept, buckets))
     first_ids = named.filter("name is not null").groupBy("name").agg(F.min("doc_id").alias("doc_id"))
-    wanted = kept.select("name").distinct()
+    wanted = enough.select("name").distinct()
     sets = cut(sets_of(docs, cut(first_ids.join(wanted, "name", "left_semi").select(F.col("doc_id").alias(key))), key, text))
     links = cut(verified(pairs, sets))
     labels = components(links)
-    rooted = kept.join(labels, "name", "left").select("token", "name", "n", F.coalesce("root", "name").alias("root"))
-    openings = rooted.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count("*").alias("members")).filter("lo < hi").select("token", "members")
-    more = across(rooted.join(openings, "token"), sets).join(pairs, ["a", "b"], "left_anti")
-    found = cut(verified(more, sets))
+    rooted = kept.join(F.broadcast(labels) if is_small(labels) else labels, "name", "left").select("token", "name", "n", F.coalesce("root", "name").alias("root"))
+    large = cut(kept.groupBy("token").agg(F.count("*").alias("members")).filter(F.col("members") > SMALL))
+    large = F.broadcast(large) if is_small(large) else large
+    far = rooted.join(large, "token")
+    far = cut(far.join(far.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo < hi").select("token"), "token", "left_semi"))
+    more = across_small(rooted.join(large, "token", "left_anti"), buckets).unionByName(across_large(far, sets)).distinct()
+    found = cut(verified(cut(more.join(pairs, ["a", "b"], "left_anti")), sets))
     if not found.isEmpty():
         labels = components(links.union(found))
+    removed(docs.sparkSession, path)  # nothing below reads it
     by_name = first_ids.join(labels, "name", "left").select("name", "doc_id", F.coalesce("root", "name").alias("root"))
     least = by_name.groupBy("root").agg(F.min("doc_id").alias("component_id"))
     places = by_name.join(least, "root").select("name", "component_id")

@@ -106,7 +106,7 @@ class Parser:
         letters = sorted(seen, key=lambda ch: (-seen[ch], ch))[:MAX_LETTERS]
         self.width = FIRST + len(letters)
         self.code = np.full(0x110000, GAP, dtype=np.uint8)
-        alpha = process_cache().setdefault("alpha", np.array([chr(i).isalpha() for i in range(0x110000)]))
+        alpha = process_cache("language").setdefault("alpha", np.array([chr(i).isalpha() for i in range(0x110000)]))
         self.code[alpha] = UNKNOWN
         for i, ch in enumerate(letters):
             self.code[ord(ch)] = FIRST + i
@@ -170,7 +170,7 @@ class Parser:
 
 def worker_parser(learned) -> Parser:
     """The process's parser of one broadcast (name, samples)."""
-    cache = process_cache()
+    cache = process_cache("language")
     name, texts = learned.value
     if cache.get("parser_of") != name:
         cache["parser"], cache["parser_of"] = Parser(texts), name

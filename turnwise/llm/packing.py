@@ -32,7 +32,7 @@ CAPACITY = 2048
 END_ID = 0
 #: Documents of a cell, and words remembered per worker.
 CELL_DOCS = 50_000
-MEMO = 1_000_000
+MEMO = 600_000
 #: The local search ends after so many bins in a row that it could not empty.
 STALL = 300
 
@@ -84,7 +84,7 @@ class Encoder:
 
 
 def worker_encoder(path: str) -> Encoder:
-    cache = process_cache()
+    cache = process_cache("packing")
     if ("encoder", path) not in cache:
         cache["encoder", path] = Encoder(path)
     return cache["encoder", path]

@@ -69,7 +69,7 @@ class Counter:
 
 def worker_counter(path: str, whole=None) -> Counter:
     """The process's counter; whole: a broadcast of the proven strings, so that the proof runs once, on the driver."""
-    cache = process_cache()
+    cache = process_cache("tokens")
     if ("counter", path) not in cache:
         cache["counter", path] = Counter(path, whole and whole.value)
     return cache["counter", path]
