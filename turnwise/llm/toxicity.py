@@ -35,7 +35,7 @@ SAMPLE_ROWS = 20_000
 TERMS = 600
 VOTERS = 200
 #: A lexicon entry is in at least so many toxic rows, that share of them, and that much more often there than in others.
-LEAST_ROWS, LEAST_SHARE, LEAST_RATIO = 5, 0.015, 6.0
+LEAST_ROWS, LEAST_SHARE, LEAST_RATIO = 8, 0.015, 6.0
 #: So many of the most frequent entries of toxic rows are compared with the clean rows.
 FREQUENT = 20_000
 PREFIXES = (4, 5, 6, 7)
@@ -248,7 +248,10 @@ def train(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "
     patterns = shapes > np.quantile(shapes, 0.98, axis=0)
     q = LabelModel().fit(np.hstack([lexical, patterns]), 0.98 * y + 0.02 * np.average(y, weights=w), w)
     weights, intercept = logistic(x, q, w)
-    return terms, weights, intercept
+    # The posteriors rank well but need not be calibrated: one scale and shift, fitted to the sample's labels.
+    scale, shift = logistic((x @ weights + intercept)[:, None], y, w)
+    scale = max(float(scale[0]), 0.1)
+    return terms, weights * scale, intercept * scale + shift
 
 
 def score_toxicity(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "text", label: str = "toxic") -> DataFrame:
@@ -259,7 +262,7 @@ def score_toxicity(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text
 
     def score(column):
         name, terms, weights, intercept = model.value
-        cache = process_cache()
+        cache = process_cache("toxicity")
         if cache.get("matcher_of") != name:
             cache["matcher"], cache["matcher_of"] = Matcher(terms), name
         values, out = column.tolist(), []
