@@ -26,6 +26,18 @@ FROM p GROUP BY conv_id
 
 WORDS = r"""string_split_regex(trim(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), chr(32) || chr(9) || chr(10) || chr(11) || chr(12) || chr(13)), '[\x20\x09-\x0D]+')"""
 
+OP1 = f"""
+WITH RECURSIVE docs AS (SELECT doc_id, {WORDS} AS w FROM documents),
+g AS (SELECT DISTINCT doc_id, array_to_string(w[i + 1 : i + least(len(w), 5)], ' ') AS g
+      FROM (SELECT doc_id, w, unnest(range(0, len(w) - least(len(w), 5) + 1)) AS i FROM docs WHERE w <> ['']) x),
+n AS (SELECT doc_id, count(*) AS n FROM g GROUP BY doc_id),
+p AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS c FROM g x JOIN g y ON x.g = y.g AND x.doc_id <> y.doc_id GROUP BY x.doc_id, y.doc_id),
+l AS (SELECT a, b FROM p JOIN n s ON p.a = s.doc_id JOIN n t ON p.b = t.doc_id WHERE 100 * c >= 75 * (s.n + t.n - c)),
+r AS (SELECT doc_id, doc_id AS reach FROM documents UNION SELECT r.doc_id, l.b FROM r JOIN l ON r.reach = l.a),
+m AS (SELECT doc_id, min(reach) AS component_id FROM r GROUP BY doc_id)
+SELECT m.doc_id, coalesce(n.n, 0) AS n_shingles, m.component_id FROM m LEFT JOIN n ON m.doc_id = n.doc_id
+"""
+
 OP6 = f"""
 WITH items AS (SELECT item_id, {WORDS} AS w FROM benchmark), docs AS (SELECT doc_id, {WORDS} AS w FROM documents),
 q AS (SELECT DISTINCT item_id, least(len(w), 5) AS width, array_to_string(w[i + 1 : i + least(len(w), 5)], ' ') AS g
@@ -65,4 +77,4 @@ SELECT doc_id, n_sentences, sentence_ids, concat_ws('|', {", ".join(firsts)}) AS
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_exact_dedup": OP2, "op3_license_scan": _op3(), "op6_decontamination": OP6, "op7_chat_format": OP7}
+    return {"op1_jaccard_join": OP1, "op2_exact_dedup": OP2, "op3_license_scan": _op3(), "op6_decontamination": OP6, "op7_chat_format": OP7}
