@@ -39,6 +39,19 @@ def process_cache(owner: str) -> dict:
     return sys.modules[name].store
 
 
+def trim() -> None:
+    """Give freed memory back to the system: workers live on between tasks, and an executor's memory counts theirs."""
+    import ctypes
+
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

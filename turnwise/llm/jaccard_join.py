@@ -35,7 +35,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import by_value, cut, is_small, process_cache, removed, without_ids, written
+from .common import by_value, cut, is_small, process_cache, removed, trim, without_ids, written
 
 by_value(__name__)
 
@@ -154,6 +154,7 @@ def named_sets(docs: DataFrame, key: str, text: str) -> DataFrame:
                 n.append(len(h))
                 name.append(set_name(h) if len(h) else None)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(name, pa.int64())], ["doc_id", "n_shingles", "name"])
+        trim()
 
     kind = docs.schema[key].dataType.simpleString()
     return docs.select(F.col(key).alias("doc_id"), F.col(text).alias("text")).mapInArrow(run, f"doc_id {kind}, n_shingles long, name long")
@@ -195,6 +196,7 @@ def shared_tokens(docs: DataFrame, text: str, buckets: int) -> DataFrame:
                 keys.append(int(bucket[lo]))
                 blocks.append(b"".join(c[owner[lo:hi]].tobytes() for c in columns) + token[lo:hi].tobytes())
             yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int32()), pa.array(blocks, pa.binary())], ["bucket", "block"])
+        trim()
 
     def meet(table: pa.Table) -> pa.Table:
         parts: list[list[np.ndarray]] = [[] for _ in range(5)]
@@ -225,12 +227,13 @@ def sets_of(docs: DataFrame, ids: DataFrame, key: str, text: str) -> DataFrame:
 
     def run(batches):
         known = known_words()
-        for b in batches:
-            sets = [shingle_set(v.as_py(), known) for v in b.column(0)]
+        for column in (b.column(0).slice(k, TEXTS) for b in batches for k in range(0, b.num_rows, TEXTS)):
+            sets = [shingle_set(v.as_py(), known) for v in column]
             yield pa.RecordBatch.from_arrays(
                 [pa.array([set_name(h) for h in sets], pa.int64()), pa.array([len(h) for h in sets], pa.int32()), pa.array([one_bit_sketch(h) for h in sets], pa.binary()), pa.array([h.tobytes() for h in sets], pa.binary())],
                 ["name", "n", "sketch", "shingles"],
             )
+        trim()
 
     chosen = docs.join(F.broadcast(ids) if is_small(ids) else ids, key, "left_semi")
     return chosen.select(F.col(text).alias("text")).mapInArrow(run, "name long, n int, sketch binary, shingles binary").dropDuplicates(["name"])
@@ -250,23 +253,24 @@ def verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
 
     near.__annotations__ = {"x": pd.Series, "y": pd.Series, "most": pd.Series, "return": pd.Series}
 
-    def linked(x, y):
-        out = []
-        for p, q in zip(x, y, strict=True):
-            a, b = np.frombuffer(p, dtype=np.uint64), np.frombuffer(q, dtype=np.uint64)
-            both = np.concatenate((a, b))
-            both.sort()
-            out.append(similar(len(a), len(b), int((both[1:] == both[:-1]).sum())))
-        return pd.Series(out, dtype=bool)
+    def linked(batches):
+        for t in batches:
+            keep = []
+            for p, q in zip(t.column("ha"), t.column("hb"), strict=True):  # in place: the batch is not copied
+                x, y = np.frombuffer(p.as_buffer(), dtype=np.uint64), np.frombuffer(q.as_buffer(), dtype=np.uint64)
+                both = np.concatenate((x, y))
+                both.sort()
+                keep.append(similar(len(x), len(y), int((both[1:] == both[:-1]).sum())))
+            yield t.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
+        trim()
 
-    linked.__annotations__ = {"x": pd.Series, "y": pd.Series, "return": pd.Series}
     light = sets.select("name", "n", "sketch")
     left, right = light.toDF("a", "na", "sa"), light.toDF("b", "nb", "sb")
     most = F.floor((F.col("na") + F.col("nb")) * (100 - PERCENT) / (100 + PERCENT))
     close = cut(pairs.join(left, "a").join(right, "b").filter(F.pandas_udf(near, "boolean")("sa", "sb", most)).select("a", "b"))
     heavy = sets.select("name", "shingles")
     met = close.join(heavy.toDF("a", "ha"), "a").join(heavy.toDF("b", "hb"), "b")
-    return met.filter(F.pandas_udf(linked, "boolean")("ha", "hb")).select("a", "b")
+    return met.select("a", "b", "ha", "hb").mapInArrow(linked, "a long, b long")
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -335,7 +339,7 @@ def across_small(open_groups: DataFrame, buckets: int) -> DataFrame:
         for m in np.unique(size).tolist():  # all groups of one size at once, some thousands of pairs at a time
             i, j = np.triu_indices(m, 1)
             starts = first[size == m]
-            step = max(1, 2_000_000 // max(1, len(i)))
+            step = max(1, 300_000 // max(1, len(i)))
             for k in range(0, len(starts), step):
                 x, y = ((starts[k : k + step, None] + z[None, :]).ravel() for z in (i, j))
                 keep = (root[x] != root[y]) & fits(n[x], n[y])

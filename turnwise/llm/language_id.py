@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import by_value, free_name, process_cache
+from .common import by_value, free_name, process_cache, trim
 
 by_value(__name__)
 
@@ -189,6 +189,7 @@ def predictor(docs: DataFrame, learn_from: DataFrame, key: str, text: str, lang:
             n, s = parser.predict(values[k : k + 512])
             names += n
             scores += s
+        trim()
         return pd.DataFrame({"lang_pred": pd.Series(names, dtype=object), "score": scores})
 
     predict.__annotations__ = {"column": pd.Series, "return": pd.DataFrame}
