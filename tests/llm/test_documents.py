@@ -102,6 +102,25 @@ def test_shown_tokens_meet():
         assert any(len(x[k][1] & y[k][1]) >= max(x[k][0], 1) and len(x[k][1] & y[k][1]) >= max(y[k][0], 1) for k in x.keys() & y.keys())
 
 
+def test_shown_tokens_meet_at_every_size():
+    """All pairs of sizes from 4 to 40 shingles that can link, as far apart as a link allows: each set gets its own ask."""
+    rng = np.random.default_rng(2)
+    for s, t in itertools.combinations_with_replacement(range(4, 41), 2):
+        common = -(-75 * (s + t) // 175)
+        if common > s:
+            continue
+        for k in range(120):
+            n = min(s, common + (k % 3))  # the largest difference most of the time
+            h = np.unique(rng.integers(0, 2**63, 2 * (s + t), dtype=np.uint64) * np.uint64(2))
+            h = rng.permutation(h)[: s + t - n]
+            a, b = np.sort(h[:s]), np.sort(np.concatenate((h[:n], h[s:])))
+            assert (len(a), len(b)) == (s, t) and jaccard_join.similar(s, t, n)
+            if n == s == t:
+                continue
+            x, y = ({band: (ask, set(v.tolist())) for band, ask, v in jaccard_join.tokens(z)} for z in (a, b))
+            assert any(len(x[z][1] & y[z][1]) >= max(x[z][0], y[z][0], 1) for z in x.keys() & y.keys()), (s, t, n)
+
+
 def normal(text):
     return re.sub(r"[\x20\x09-\x0D]+", " ", text or "")
 

@@ -7,12 +7,13 @@ Size bands. A band holds the pairs with s + t up to its bound. In a band a set's
 K parts, and the parity (XOR) of the hashes in a part is that part of the set's sketch: one differing shingle
 changes one part at most, so at most D parts differ (pigeonhole). Parts are compared as tokens (part, parity)
 in their common order: a set shows its first d + 1 + m non-empty parts, d being the largest D that it can meet
-in the band, and then a linked pair shares at least m + 1 shown tokens. A pair of sets of which neither has
-more than d non-empty parts is met through single shingles in the same way.
+in the band and m growing with d, and then a linked pair shares at least m + 1 shown tokens, m being that of the
+smaller set; so a set is asked only for as many as its smallest possible partner. A pair of sets of which neither
+has more than d non-empty parts is met through single shingles in the same way.
 
 Steps: (1) one narrow row per document: size, and a hash that names the set, so that copies are one set from
 here on; (2) tokens, as packed blocks dealt to buckets; those that only one set shows are gone at once;
-(3) sets with at most m shared tokens are gone, which rids common passages without counting pairs; (4) in each
+(3) sets with fewer shared tokens than asked for are gone, which rids common passages without counting pairs; (4) in each
 token's group every set meets the group's best-connected set; (5) pairs whose one-bit parity sketches differ in
 more than D bits are gone, for that Hamming distance is a lower bound of the symmetric difference; (6) the rest
 is verified on the shingles; (7) components by label propagation; (8) groups that are not in one component yet
@@ -89,21 +90,27 @@ def shingle_set(text: str | None, known: Words) -> np.ndarray:
     return h[np.concatenate(([True], h[1:] != h[:-1]))]
 
 
-def bands(s: int) -> list[tuple[int, int, int]]:
-    """(band, K, d) of every band in which a set of s shingles may have a partner other than its equal."""
-    low, high = s + -(-s * PERCENT // 100), s + s * 100 // PERCENT
+def largest_difference(s: int, bound: int) -> int:
+    """d: the largest symmetric difference of a set of s shingles and one that it links with in the band of this bound."""
+    return min(bound, s + s * 100 // PERCENT) * (100 - PERCENT) // (100 + PERCENT)
+
+
+def bands(s: int) -> list[tuple[int, int, int, int]]:
+    """(band, K, d, least d of its partners and itself) of every band in which a set of s shingles may have a partner other than its equal."""
+    smallest = -(-s * PERCENT // 100)
+    low, high = s + smallest, s + s * 100 // PERCENT
     out, band, bound, below = [], 0, FIRST_SUM, 6
     while below < high:
         if bound >= low:
-            d = min(bound, high) * (100 - PERCENT) // (100 + PERCENT)
+            d = largest_difference(s, bound)
             if d > 0:
-                out.append((band, PARTS * (bound // 7), d))
+                out.append((band, PARTS * (bound // 7), d, min(d, largest_difference(max(smallest, below + 1 - s), bound))))
         band, below, bound = band + 1, bound, bound * 2
     return out
 
 
 def asked(d: int) -> int:
-    """Shared tokens that a linked pair has at least, when both show d + asked(d) tokens."""
+    """Shared tokens that a linked pair has at least, when the set with the smaller d shows d + asked(d) tokens."""
     return 1 + d // MORE
 
 
@@ -111,7 +118,7 @@ def tokens(h: np.ndarray) -> list[tuple[int, int, np.ndarray]]:
     """(band, shared tokens asked for, token hashes) of a set, for each of its bands; band 255: single shingles."""
     out, s, alone = [], len(h), False
     mixed = mix(h + np.uint64(0x51ED270B))
-    for band, parts, d in bands(s):
+    for band, parts, d, least in bands(s):
         part = ((h >> np.uint64(32)) * np.uint64(parts)) >> np.uint64(32)  # rises with h, so parts are runs
         first = np.flatnonzero(np.concatenate(([True], part[1:] != part[:-1])))
         want = asked(d)
@@ -121,7 +128,7 @@ def tokens(h: np.ndarray) -> list[tuple[int, int, np.ndarray]]:
                 want, alone = 1, True
         shown = min(len(first), d + want)
         parity = np.bitwise_xor.reduceat(mixed, first)[:shown]
-        out.append((band, want, mix(parity + (part[first[:shown]] * np.uint64(256) + np.uint64(band)) * _C[1])))
+        out.append((band, min(want, asked(least)), mix(parity + (part[first[:shown]] * np.uint64(256) + np.uint64(band)) * _C[1])))
     if alone:
         prefix = s - -(-s * PERCENT // 100) + 1
         out.append((255, 1, mix(h[:prefix] + _C[2])))
