@@ -245,6 +245,18 @@ def test_decontamination_without_broadcast(spark, small, monkeypatch):
     assert sorted(map(str, decontamination.contained(*args).collect())) == want
 
 
+def test_decontamination_searches_by_sketch(spark, monkeypatch):
+    """A size partition has one sketch length, and nothing but the sketches' candidates is verified."""
+    items = spark.createDataFrame([(n, " ".join(f"i{n}w{k}" for k in range(n + 4))) for n in (1, 2, 3, 7, 16, 20, 31, 32)], "item_id long, text string")
+    got = {r.item_id: r.n for r in decontamination.item_shingles(items, "item_id", "text").groupBy("item_id").agg(F.sum(F.col("in_sketch").cast("int")).alias("n")).collect()}
+    assert got == {1: 1, 2: 1, 3: 1, 7: 2, 16: 8, 20: 8, 31: 8, 32: 16}
+    docs = items.withColumnRenamed("item_id", "doc_id").unionByName(spark.createDataFrame([(None, "i7w0 " + " ".join(f"i7w{k}" for k in range(11)))], "doc_id long, text string"))
+    assert len(decontamination.contained(docs, items).collect()) == 9
+    search = decontamination.candidates
+    monkeypatch.setattr(decontamination, "candidates", lambda *a: search(*a).filter("item_id <> 20"))
+    assert {r.item_id for r in decontamination.contained(docs, items).collect()} == {1, 2, 3, 7, 16, 31, 32}
+
+
 def test_exact_dedup_without_broadcast(spark, small, monkeypatch):
     docs = table(spark, small, "documents")
     want = sorted(map(str, exact_dedup.progressive_duplicates(docs, digest_all=True).collect()))

@@ -1,11 +1,12 @@
 """Benchmark decontamination by size-partitioned min-hash containment search, verified exactly.
 
-Test items fall into partitions by the size of their shingle set; the partition fixes how many of an item's
-smallest shingle hashes make its sketch: n - ceil(t * n) + 1 for n shingles and threshold t. A document that
-holds t of an item's shingles misses too few of them to miss its whole sketch, however long the document is,
-so the search loses nothing, where banded signatures of long documents would. Documents are streamed through
-the sketches in one pass of generated code: no document signature is stored, no text is shuffled. Candidates
-are verified by counting the item's distinct shingles in the document. Only native functions.
+Test items fall into partitions by the size of their shingle set (doubling bounds); the partition fixes how many of
+an item's smallest shingle hashes make its sketch: one more than a set of the partition's largest size may lack at
+the threshold. A document that holds that share of an item's shingles misses too few of them to miss its whole
+sketch, however long the document is, so the search loses nothing, where banded signatures of long documents would.
+Documents are streamed through the sketches in one pass of generated code: no document signature is stored, no
+text is shuffled. A second pass over the documents with a candidate counts the candidates' distinct shingles in
+them. Only native functions.
 
 Words are `[^\\x20\\x09-\\x0D]+` with A-Z in lower case; shingles have five words; an item with fewer is one
 shingle, looked up at its own width. Defined cases: a null or wordless text holds and finds nothing; repeated
@@ -39,7 +40,7 @@ def shingles(docs: DataFrame, width: int) -> DataFrame:
 
 
 def item_shingles(items: DataFrame, key: str, text: str, percent: int = PERCENT) -> DataFrame:
-    """item_id, width, gram, item_shingles, in_sketch: the items' distinct shingles, the smallest hashes marked."""
+    """item_id, width, gram, item_shingles, in_sketch: the items' distinct shingles, the smallest hashes marked, as many as the size partition says."""
     cut_up = items.select(F.col(key).alias("item_id"), words(F.col(text)).alias("words")).filter(~((F.size("words") == 1) & (F.get("words", F.lit(0)) == "")))
     sized = cut_up.withColumn("width", F.least(F.size("words"), F.lit(WIDTH)))
     parts = [shingles(sized.filter(F.col("width") == w), w) for w in range(1, WIDTH + 1)]
@@ -49,29 +50,42 @@ def item_shingles(items: DataFrame, key: str, text: str, percent: int = PERCENT)
     every = every.distinct()
     whole = every.groupBy("item_id").agg(F.count("*").alias("item_shingles"))
     ranked = every.withColumn("rank", F.row_number().over(Window.partitionBy("item_id").orderBy("gram"))).join(whole, "item_id")
-    sketch = F.col("item_shingles") - F.ceil(F.col("item_shingles") * percent / 100) + 1
+    largest = F.pow(F.lit(2), F.length(F.bin("item_shingles"))) - 1  # the partition's
+    sketch = largest - F.ceil(largest * percent / 100) + 1
     return ranked.select("item_id", "width", "gram", "item_shingles", (F.col("rank") <= sketch).alias("in_sketch"))
 
 
+def by_width(rows: DataFrame, index: DataFrame, small: bool, widths: list[int]) -> DataFrame:
+    """Shingles of rows that are in the index, each width looked up among its own."""
+    hits = None
+    for w in widths:
+        of_width = index.filter(F.col("width") == w).drop("width")
+        found = shingles(rows, w).join(F.broadcast(of_width) if small else of_width, "gram")
+        hits = found if hits is None else hits.unionByName(found)
+    return hits
+
+
+def candidates(rows: DataFrame, index: DataFrame, small: bool, widths: list[int]) -> DataFrame:
+    """row, item_id of every document that holds a shingle of the item's sketch."""
+    sketches = index.filter("in_sketch").select("width", "gram", "item_id")
+    return by_width(rows.select("row", "words"), sketches, small, widths).select("row", "item_id").distinct()
+
+
 def contained(docs: DataFrame, items: DataFrame, key: str = "doc_id", text: str = "text", item_key: str = "item_id", item_text: str = "text", percent: int = PERCENT) -> DataFrame:
     """doc_id, item_id, item_shingles, common, containment of every pair at or over the threshold."""
     index = cut(item_shingles(items, item_key, item_text, percent))
-    widths = [r["width"] for r in index.select("width").distinct().collect()]  # at most WIDTH values
-    rows = docs.select(F.col(key).alias("doc_id"), F.monotonically_increasing_id().alias("row"), words(F.col(text)).alias("words"))
-    hits = None
+    widths = sorted(r["width"] for r in index.select("width").distinct().collect()) or [WIDTH]  # at most WIDTH values
     small = is_small(index, BROADCAST_ROWS // 4)
-    for w in sorted(widths) or [WIDTH]:
-        grams = shingles(rows, w)
-        of_width = index.filter(F.col("width") == w).drop("width")
-        if small:
-            found = grams.join(F.broadcast(of_width), "gram")
-        else:  # too many items to broadcast: candidates by their sketches first, then all shingles of the candidates
-            near = grams.join(of_width.filter("in_sketch").select("gram", "item_id"), "gram").select("doc_id", "row", "item_id").distinct()
-            found = grams.join(of_width, "gram").join(near, ["doc_id", "row", "item_id"], "left_semi")
-        hits = found if hits is None else hits.unionByName(found)
-    per_gram = hits.groupBy("doc_id", "row", "item_id", "item_shingles", "gram").agg(F.max("in_sketch").alias("in_sketch"))
-    pairs = per_gram.groupBy("doc_id", "row", "item_id", "item_shingles").agg(F.count("*").alias("common"), F.max("in_sketch").alias("candidate"))
-    verified = pairs.filter(F.col("candidate") & (F.col("common") * 100 >= F.col("item_shingles") * percent))
+    # A document is named by its id and words, so that both passes name it alike.
+    rows = docs.select(F.col(key).alias("doc_id"), words(F.col(text)).alias("words")).withColumn("row", F.xxhash64("doc_id", "words"))
+    near = cut(candidates(rows, index, small, widths))
+    with_any = near.select("row").distinct()
+    if is_small(with_any):
+        rows = rows.join(F.broadcast(with_any), "row", "left_semi")
+    hits = by_width(rows, index.drop("in_sketch"), small, widths).join(near, ["row", "item_id"], "left_semi")
+    per_gram = hits.select("doc_id", "row", "item_id", "item_shingles", "gram").distinct()
+    pairs = per_gram.groupBy("doc_id", "row", "item_id", "item_shingles").agg(F.count("*").alias("common"))
+    verified = pairs.filter(F.col("common") * 100 >= F.col("item_shingles") * percent)
     return verified.select("doc_id", "item_id", "item_shingles", "common", (F.col("common") / F.col("item_shingles")).alias("containment")).distinct()
 
 
