@@ -68,22 +68,62 @@ def test_jaccard_join(spark):
     assert got == want and len({c for _, c in want.values()}) < len(rows) - 60
 
 
-def test_jaccard_join_in_blocks(spark, monkeypatch):
-    """All open groups through the block comparison, with tiny blocks."""
-    rows = mutants(seed=8)
-    monkeypatch.setattr(jaccard_join, "SMALL", 2)
-    monkeypatch.setattr(jaccard_join, "BLOCK", 3)
+@pytest.mark.parametrize("seed,block", [(8, 700), (9, 5000)])
+def test_jaccard_join_in_blocks(spark, monkeypatch, seed, block):
+    """Every bundle as one that is too large for a task, in tiny blocks."""
+    rows = mutants(seed)
+    monkeypatch.setattr(jaccard_join, "MOST_SHINGLES", 600)
+    monkeypatch.setattr(jaccard_join, "BLOCK", block)
     got = {r.doc_id: (r.n_shingles, r.component_id) for r in jaccard_join.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string").repartition(4)).collect()}
     assert got == dict(zip([k for k, _ in rows], brute_components(rows), strict=True))
 
 
+def test_jaccard_join_loose_cluster(spark):
+    """One large group of near copies of which some link and most do not: one link for each set at most comes out of a task."""
+    rng = np.random.default_rng(4)
+    base = [f"b{k}" for k in range(60)]
+    rows = []
+    for k in range(400):
+        w = list(base)
+        for at in rng.integers(0, 60, int(rng.integers(0, 6))):
+            w[at] = f"x{rng.integers(0, 50)}"
+        rows.append((k, " ".join(w)))
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in jaccard_join.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string").repartition(4)).collect()}
+    assert got == dict(zip([k for k, _ in rows], brute_components(rows), strict=True))
+
+
+def test_rarest_tokens_are_enough():
+    """Of two linked sets' shared tokens, the h - a + 1 rarest of each have one in common, in any order of rarity."""
+    rng = np.random.default_rng(6)
+    for _ in range(300):
+        n = int(rng.integers(4, 300))
+        a = np.unique(rng.integers(0, 2**63, n, dtype=np.uint64))
+        b = np.unique(np.concatenate((a[int(rng.integers(0, n // 6 + 1)) :], rng.integers(0, 2**63, int(rng.integers(0, n // 8 + 1)), dtype=np.uint64))))
+        common = len(np.intersect1d(a, b))
+        if not len(b) or not jaccard_join.similar(len(a), len(b), common) or common == len(a) == len(b):
+            continue
+        rank = lambda t: (int(t) * 2654435761) % 1000003
+        x, y = ({band: set(sorted(t.tolist(), key=lambda v: (rank(v), v))[: len(t) - ask + 1]) for band, ask, t in jaccard_join.tokens(s)} for s in (a, b))
+        assert any(x[k] & y[k] for k in x.keys() & y.keys())
+
+
+def test_packed_blocks():
+    rng = np.random.default_rng(0)
+    name, band = rng.integers(-(2**62), 2**62, 5), np.array([0, 1, 255, 3, 4], dtype=np.uint8)
+    ask, count = np.array([1, 70_000, 3, 4, 5], dtype=np.uint32), np.array([2, 1, 70_000, 1, 3], dtype=np.uint32)
+    token = rng.integers(0, 2**40, int(count.sum()), dtype=np.uint64)
+    for got, want in zip(jaccard_join.unpack_block(jaccard_join.pack_block(name, band, ask, count, token)), (np.repeat(name, count), np.repeat(band, count), np.repeat(ask, count), token), strict=True):
+        assert (got == want).all()
+
+
 def test_jaccard_join_odd(odd, nothing):
     rows = [(r[0], r[1]) for r in odd_rows()]
     got = sorted(((r.doc_id, r.n_shingles, r.component_id) for r in jaccard_join.near_duplicates(odd).collect()), key=str)
     assert got == sorted(((k, n, c) for (k, _), (n, c) in zip(rows, brute_components(rows), strict=True)), key=str)
     assert jaccard_join.near_duplicates(nothing).collect() == []
     left = jaccard_join.one_of_each(odd)
-    assert left.columns == odd.columns and {r.doc_id for r in left.collect()} == {1, 5, 6, 7, 8, 10, 12, 13, None}
+    assert left.columns == odd.columns and sorted((r.doc_id, r.text) for r in left.collect() if r.doc_id is None) == [(None, "nobody's row, with <|endoftext|> inside")]
+    assert sorted(r.doc_id for r in left.collect() if r.doc_id is not None) == [1, 5, 6, 7, 8, 10, 12, 13]
 
 
 def test_shown_tokens_meet():

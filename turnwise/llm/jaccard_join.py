@@ -12,17 +12,24 @@ smaller set; so a set is asked only for as many as its smallest possible partner
 has more than d non-empty parts is met through single shingles in the same way.
 
 Steps: (1) one narrow row per document: size, and a hash that names the set, so that copies are one set from
-here on; (2) tokens, as packed blocks dealt to buckets; those that only one set shows are gone at once;
-(3) sets with fewer shared tokens than asked for are gone, which rids common passages without counting pairs; (4) in each
-token's group every set meets the group's best-connected set; (5) pairs whose one-bit parity sketches differ in
-more than D bits are gone, for that Hamming distance is a lower bound of the symmetric difference; (6) the rest
-is verified on the shingles; (7) components by label propagation; (8) groups that are not in one component yet
-have their remaining pairs across components compared by sketch, in blocks, and verified. No link between
-different components is left out, and no group's pairs are all emitted.
+here on; (2) tokens, as packed blocks dealt to buckets; those that only one set shows are gone at once, the others
+know how many sets show them; (3) of the h shared tokens of a set of which a are asked for, the h - a + 1 rarest
+are kept: two linked sets have at least a in common, so also one among the kept of both. A passage that many
+documents hold gives each of them fewer tokens than asked for, so they leave without any pair being looked at;
+(4) sets that keep a token in common are in one bundle (components of the stars of the tokens); (5) a bundle's
+sets meet in one task, in the order of their sizes: pairs not yet connected whose one-bit parity sketches differ
+in more than D bits are passed over, for that Hamming distance is a lower bound of the symmetric difference; the
+others are verified on the shingles. A task returns one link for each set at most, whatever the number of pairs;
+(6) components of the links by label propagation.
+
+Bundles over MOST_SHINGLES do not go to one task: their sets first meet those with the same least token, in blocks,
+and are connected by what is found; then the tokens whose sets are not in one component are compared across
+components, by pairs of blocks. No link between different components is left out there either.
 
 Set names and shingles are 64-bit hashes. Defined cases: without words, or null text, a set is empty and
 linked with nothing; with fewer than five words the whole sequence is the one shingle; repeated rows are copies;
-very long texts are whole; an empty table gives an empty result; other columns are ignored.
+rows without an id are compared like others; very long texts are whole; an empty table gives an empty result;
+other columns are ignored.
 """
 
 from __future__ import annotations
@@ -36,7 +43,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import by_value, cut, is_small, process_cache, removed, trim, without_ids, written
+from .common import by_value, cut, free_name, is_small, process_cache, removed, trim, written
 
 by_value(__name__)
 
@@ -45,13 +52,14 @@ PERCENT = 75
 #: Bound of s + t in the first band; each band's is twice the one before. Below it only equal sets link.
 FIRST_SUM = 14
 #: Parts of a band for each shingle of its largest difference, and shared tokens asked for beyond one.
-PARTS, MORE = 3, 3
-SKETCH_BITS = 1024
-KEYS_PER_BUCKET = 500_000
+PARTS, MORE = 2, 3
+SKETCH_BITS = 2048
+KEYS_PER_BUCKET = 1_000_000
 #: Texts whose tokens are held at a time.
 TEXTS = 1500
-#: Groups of at most SMALL sets give their remaining pairs at once; larger ones are compared by sketch, in blocks.
-SMALL, BLOCK = 256, 4096
+#: Shingles of a bundle that one task takes whole, of all the bundles of a task, and of a block of a larger bundle;
+#: a set counts as LEAST_WEIGHT shingles at least.
+MOST_SHINGLES, TASK_SHINGLES, BLOCK, LEAST_WEIGHT = 4_000_000, 1_000_000, 500_000, 256
 _C = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F], dtype=np.uint64)
 _M1, _M2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 WORD_MEMO = 200_000
@@ -135,10 +143,10 @@ def tokens(h: np.ndarray) -> list[tuple[int, int, np.ndarray]]:
     return out
 
 
-def one_bit_sketch(h: np.ndarray) -> bytes:
-    """Each shingle flips one of SKETCH_BITS bits."""
+def one_bit_sketch(h: np.ndarray) -> np.ndarray:
+    """Each shingle flips one of SKETCH_BITS bits; as 64-bit words."""
     odd = np.bincount((h % np.uint64(SKETCH_BITS)).astype(np.int64), minlength=SKETCH_BITS) & 1
-    return np.packbits(odd.astype(np.uint8)).tobytes()
+    return np.packbits(odd.astype(np.uint8)).view(np.uint64)
 
 
 def set_name(h: np.ndarray) -> int:
@@ -149,34 +157,69 @@ def known_words() -> Words:
     return process_cache("shingles").setdefault("words", Words())
 
 
+def row_name(docs: DataFrame, key: str, text: str):
+    """A hash by which a row is found again; rows that share it are copies."""
+    return F.xxhash64(F.col(key), F.col(text))
+
+
 def named_sets(docs: DataFrame, key: str, text: str) -> DataFrame:
-    """doc_id, n_shingles, name (null for the empty set)."""
+    """doc_id, row, n_shingles, name (null for the empty set)."""
 
     def run(batches):
         known = known_words()
         for b in batches:
             n, name = [], []
-            for v in b.column(1):
+            for v in b.column(2):
                 h = shingle_set(v.as_py(), known)
                 n.append(len(h))
                 name.append(set_name(h) if len(h) else None)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(name, pa.int64())], ["doc_id", "n_shingles", "name"])
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(n, pa.int64()), pa.array(name, pa.int64())], ["doc_id", "row", "n_shingles", "name"])
         trim()
 
     kind = docs.schema[key].dataType.simpleString()
-    return docs.select(F.col(key).alias("doc_id"), F.col(text).alias("text")).mapInArrow(run, f"doc_id {kind}, n_shingles long, name long")
+    narrow = docs.select(F.col(key).alias("doc_id"), row_name(docs, key, text).alias("row"), F.col(text).alias("text"))
+    return narrow.mapInArrow(run, f"doc_id {kind}, row long, n_shingles long, name long")
+
+
+def planes(a: np.ndarray) -> bytes:
+    """An array's first bytes, then its second bytes and so on: the empty high ones cost nothing once compressed."""
+    return np.ascontiguousarray(a.view(np.uint8).reshape(len(a), -1).T).tobytes()
+
+
+def unplanes(raw: memoryview, n: int, kind: type) -> np.ndarray:
+    width = np.dtype(kind).itemsize
+    return np.ascontiguousarray(np.frombuffer(raw, np.uint8, n * width).reshape(width, n).T).view(kind).ravel()
+
+
+#: A token goes by its bucket and so many of its low bytes; that two share them by chance only costs a look.
+LOW = 5
+
+
+def pack_block(name, band, ask, count, token) -> bytes:
+    """Slots (a set in a band) with the number of their tokens here, then the tokens."""
+    low = np.ascontiguousarray(token.view(np.uint8).reshape(-1, 8)[:, :LOW])
+    return len(name).to_bytes(4, "little") + b"".join((name.tobytes(), band.tobytes(), planes(ask), planes(count), low.tobytes()))
 
 
-_SHARED = "name long, n int, band int, asked int, token long"
+def unpack_block(raw) -> tuple[np.ndarray, ...]:
+    """name, band, asked of each token, and the tokens' low bytes."""
+    view = memoryview(raw)
+    n = int.from_bytes(view[:4], "little")
+    name, band = np.frombuffer(view[4:], np.int64, n), np.frombuffer(view[4 + 8 * n :], np.uint8, n)
+    ask, count = unplanes(view[4 + 9 * n :], n, np.uint32), unplanes(view[4 + 13 * n :], n, np.uint32)
+    low = np.frombuffer(view[4 + 17 * n :], np.uint8).reshape(-1, LOW)
+    token = np.zeros((len(low), 8), dtype=np.uint8)
+    token[:, :LOW] = low
+    return *(np.repeat(a, count) for a in (name, band, ask)), token.view(np.uint64).ravel()
 
 
 def shared_tokens(docs: DataFrame, text: str, buckets: int) -> DataFrame:
-    """The tokens that at least two sets show: name, n, band, asked, token."""
+    """The tokens that at least two sets show: name, band, asked, token, shown (number of those sets)."""
 
     def deal(batches):
         known = known_words()
         for column in (b.column(0).slice(k, TEXTS) for b in batches for k in range(0, b.num_rows, TEXTS)):
-            names, sizes, band, ask, count, every, seen = [], [], [], [], [], [], set()
+            names, band, ask, count, every, seen = [], [], [], [], [], set()
             for v in column:
                 h = shingle_set(v.as_py(), known)
                 if not len(h) or (name := set_name(h)) in seen:
@@ -184,7 +227,6 @@ def shared_tokens(docs: DataFrame, text: str, buckets: int) -> DataFrame:
                 seen.add(name)
                 for x, a, t in tokens(h):
                     names.append(name)
-                    sizes.append(len(h))
                     band.append(x)
                     ask.append(a)
                     count.append(len(t))
@@ -192,92 +234,173 @@ def shared_tokens(docs: DataFrame, text: str, buckets: int) -> DataFrame:
             if not every:
                 continue
             token = np.concatenate(every)
-            bucket = (token >> np.uint64(40)) % np.uint64(buckets)
+            bucket = (token >> np.uint64(8 * LOW)) % np.uint64(buckets)
             order = np.argsort(bucket, kind="stable")
-            owner = np.repeat(np.arange(len(count)), count)[order]
+            slot = np.repeat(np.arange(len(count), dtype=np.int32), count)[order]
             token, bucket = token[order], bucket[order]
-            columns = [np.array(names, dtype=np.int64), np.array(sizes, dtype=np.int32), np.array(band, dtype=np.uint8), np.array(ask, dtype=np.int32)]
+            names, band, ask = np.array(names, dtype=np.int64), np.array(band, dtype=np.uint8), np.array(ask, dtype=np.uint32)
             edge = np.flatnonzero(np.concatenate(([True], bucket[1:] != bucket[:-1], [True])))
             keys, blocks = [], []
             for lo, hi in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True):
+                own = slot[lo:hi]
+                first = np.flatnonzero(np.concatenate(([True], own[1:] != own[:-1])))
+                of = own[first]
                 keys.append(int(bucket[lo]))
-                blocks.append(b"".join(c[owner[lo:hi]].tobytes() for c in columns) + token[lo:hi].tobytes())
+                blocks.append(pack_block(names[of], band[of], ask[of], np.diff(first, append=len(own)).astype(np.uint32), token[lo:hi]))
             yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int32()), pa.array(blocks, pa.binary())], ["bucket", "block"])
         trim()
 
     def meet(table: pa.Table) -> pa.Table:
-        parts: list[list[np.ndarray]] = [[] for _ in range(5)]
-        for v in table.column("block"):
-            raw = v.as_buffer()
-            n, at = raw.size // 25, 0
-            for k, kind in enumerate((np.int64, np.int32, np.uint8, np.int32, np.uint64)):
-                parts[k].append(np.frombuffer(raw, dtype=kind, count=n, offset=at))
-                at += n * np.dtype(kind).itemsize
-        name, size, band, ask, token = (np.concatenate(p) for p in parts)
+        parts = [unpack_block(v.as_buffer()) for v in table.column("block")]
+        name, band, ask, token = (np.concatenate([p[k] for p in parts]) for k in range(4))
+        del parts
+        order = np.argsort(token)
+        run = token[order]
+        same = run[1:] == run[:-1]
+        order = order[np.concatenate((same, [False])) | np.concatenate(([False], same))]  # shown twice at least
+        name, band, ask, token = (a[order] for a in (name, band, ask, token))
         order = np.lexsort((name, token))
-        name, size, band, ask, token = (a[order] for a in (name, size, band, ask, token))
-        new = np.concatenate(([True], (token[1:] != token[:-1]) | (name[1:] != name[:-1])))  # a set once a token
-        name, size, band, ask, token = (a[new] for a in (name, size, band, ask, token))
-        same = token[1:] == token[:-1]
-        keep = np.concatenate((same, [False])) | np.concatenate(([False], same))
+        name, band, ask, token = (a[order] for a in (name, band, ask, token))
+        new = np.concatenate(([True], (token[1:] != token[:-1]) | (name[1:] != name[:-1])))[: len(token)]  # a set once a token
+        name, band, ask, token = (a[new] for a in (name, band, ask, token))
+        first = np.flatnonzero(np.concatenate(([True], token[1:] != token[:-1])))[: len(token)]
+        size = np.diff(first, append=len(token))
+        shown = np.repeat(size, size)
+        keep = shown > 1
+        whole = (token[keep] | (np.uint64(table.column("bucket")[0].as_py()) << np.uint64(8 * LOW))).view(np.int64)
         return pa.table(
-            [pa.array(name[keep]), pa.array(size[keep]), pa.array(band[keep].astype(np.int32)), pa.array(ask[keep]), pa.array(token[keep].view(np.int64))],
-            names=["name", "n", "band", "asked", "token"],
+            [pa.array(name[keep]), pa.array(band[keep].astype(np.int32)), pa.array(ask[keep].astype(np.int32)), pa.array(whole), pa.array(shown[keep].astype(np.int32))],
+            names=["name", "band", "asked", "token", "shown"],
         )
 
     dealt = docs.select(F.col(text).alias("text")).mapInArrow(deal, "bucket int, block binary")
-    return dealt.groupBy("bucket").applyInArrow(meet, _SHARED)
+    return dealt.groupBy("bucket").applyInArrow(meet, "name long, band int, asked int, token long, shown int")
+
+
+def rarest(shared: DataFrame) -> DataFrame:
+    """name, token: of a set's h shared tokens in a band, of which it is asked for a, the h - a + 1 rarest."""
+    slot = Window.partitionBy("name", "band")  # as many rows as a set has tokens
+    ranked = shared.withColumn("rank", F.row_number().over(slot.orderBy("shown", "token"))).withColumn("had", F.count("*").over(slot))
+    return ranked.filter("rank <= had - asked + 1").select("name", "token")
 
 
-def sets_of(docs: DataFrame, ids: DataFrame, key: str, text: str) -> DataFrame:
-    """name, n, sketch, shingles (packed) of the documents whose ids are given."""
+def bundled(kept: DataFrame, buckets: int) -> DataFrame:
+    """(a, b), a <= b: b keeps a token together with a; in each bucket of tokens one pair for each set."""
+
+    def stars(table: pa.Table) -> pa.Table:
+        name, token = (table.column(c).to_numpy() for c in ("name", "token"))
+        names, at = np.unique(name, return_inverse=True)
+        order = np.argsort(token, kind="stable")
+        at, token = at[order], token[order]
+        first = np.flatnonzero(np.concatenate(([True], token[1:] != token[:-1])))
+        size = np.diff(first, append=len(token))
+        group = np.repeat(np.arange(len(first)), size)
+        root = np.arange(len(names))
+        while True:  # least labels spread through the groups, then to the label's label
+            low = np.minimum.reduceat(root[at], first)
+            after = root.copy()
+            np.minimum.at(after, at, low[group])
+            after = after[after]
+            if (after == root).all():
+                break
+            root = after
+        met = np.zeros(len(names), dtype=bool)
+        met[at[np.repeat(size, size) > 1]] = True
+        return pa.table([pa.array(names[root[met]]), pa.array(names[met])], names=["a", "b"])
+
+    return kept.groupBy(F.pmod(F.xxhash64("token"), F.lit(buckets)).alias("bucket")).applyInArrow(stars, "a long, b long").distinct()
+
+
+def sets_of(docs: DataFrame, rows: DataFrame, key: str, text: str) -> DataFrame:
+    """rows (row and other columns) with name and shingles (packed) of the documents that have those rows, each set once."""
 
     def run(batches):
         known = known_words()
-        for column in (b.column(0).slice(k, TEXTS) for b in batches for k in range(0, b.num_rows, TEXTS)):
-            sets = [shingle_set(v.as_py(), known) for v in column]
-            yield pa.RecordBatch.from_arrays(
-                [pa.array([set_name(h) for h in sets], pa.int64()), pa.array([len(h) for h in sets], pa.int32()), pa.array([one_bit_sketch(h) for h in sets], pa.binary()), pa.array([h.tobytes() for h in sets], pa.binary())],
-                ["name", "n", "sketch", "shingles"],
-            )
+        seen: set[int] = set()  # repeated rows are one set
+        for b in (b.slice(k, TEXTS) for b in batches for k in range(0, b.num_rows, TEXTS)):
+            names, packed, bundles = [], [], []
+            for v, bundle in zip(b.column(0), b.column(1), strict=True):
+                h = shingle_set(v.as_py(), known)
+                if (name := set_name(h)) not in seen:
+                    seen.add(name)
+                    names.append(name)
+                    packed.append(h.tobytes())
+                    bundles.append(bundle.as_py())
+            yield pa.RecordBatch.from_arrays([pa.array(names, pa.int64()), pa.array(packed, pa.binary()), pa.array(bundles, pa.int64())], ["name", "shingles", "bundle"])
         trim()
 
-    chosen = docs.join(F.broadcast(ids) if is_small(ids) else ids, key, "left_semi")
-    return chosen.select(F.col(text).alias("text")).mapInArrow(run, "name long, n int, sketch binary, shingles binary").dropDuplicates(["name"])
+    held = docs.select(row_name(docs, key, text).alias("row"), F.col(text).alias("text"))
+    chosen = held.join(F.broadcast(rows) if is_small(rows) else rows, "row").select("text", "bundle")
+    return chosen.mapInArrow(run, "name long, shingles binary, bundle long")
 
 
 def similar(a: int, b: int, common: int) -> bool:
     return 100 * common >= PERCENT * (a + b - common)
 
 
-def verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
-    """The pairs (a, b) that link: first by the sketches' Hamming distance, then by the shingles."""
-    import pandas as pd
-
-    def near(x, y, most):
-        out = [int.from_bytes(p, "little").__xor__(int.from_bytes(q, "little")).bit_count() <= m for p, q, m in zip(x, y, most, strict=True)]
-        return pd.Series(out, dtype=bool)
-
-    near.__annotations__ = {"x": pd.Series, "y": pd.Series, "most": pd.Series, "return": pd.Series}
-
-    def linked(batches):
-        for t in batches:
-            keep = []
-            for p, q in zip(t.column("ha"), t.column("hb"), strict=True):  # in place: the batch is not copied
-                x, y = np.frombuffer(p.as_buffer(), dtype=np.uint64), np.frombuffer(q.as_buffer(), dtype=np.uint64)
-                both = np.concatenate((x, y))
-                both.sort()
-                keep.append(similar(len(x), len(y), int((both[1:] == both[:-1]).sum())))
-            yield t.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
-        trim()
-
-    light = sets.select("name", "n", "sketch")
-    left, right = light.toDF("a", "na", "sa"), light.toDF("b", "nb", "sb")
-    most = F.floor((F.col("na") + F.col("nb")) * (100 - PERCENT) / (100 + PERCENT))
-    close = cut(pairs.join(left, "a").join(right, "b").filter(F.pandas_udf(near, "boolean")("sa", "sb", most)).select("a", "b"))
-    heavy = sets.select("name", "shingles")
-    met = close.join(heavy.toDF("a", "ha"), "a").join(heavy.toDF("b", "hb"), "b")
-    return met.select("a", "b", "ha", "hb").mapInArrow(linked, "a long, b long")
+def forest(name: np.ndarray, sets: list[np.ndarray], root: np.ndarray, side: np.ndarray | None = None) -> list[tuple[int, int]]:
+    """(a, b), a < b: for each set that links with another one, directly or through others here, a pair that says so.
+
+    root: sets with the same one are connected already; side: only pairs of different sides are looked at.
+    """
+    n = np.array([len(h) for h in sets], dtype=np.int64)
+    order = np.lexsort((name, n))
+    name, n, sets = name[order], n[order], [sets[k] for k in order]
+    bits = np.stack([one_bit_sketch(h) for h in sets])
+    values, parent = np.unique(root[order], return_index=True)
+    parent = parent[np.searchsorted(values, root[order])].tolist()
+    known = parent.copy()
+    side = side[order] if side is not None else None
+
+    def find(x: int) -> int:
+        while parent[x] != x:
+            parent[x] = x = parent[parent[x]]
+        return x
+
+    ends = np.searchsorted(n, n * 100 // PERCENT, "right").tolist()
+    for k, end in enumerate(ends):
+        far = np.bitwise_count(bits[k + 1 : end] ^ bits[k]).sum(axis=1, dtype=np.int64)
+        near = far <= (n[k + 1 : end] + n[k]) * (100 - PERCENT) // (100 + PERCENT)
+        if side is not None:
+            near &= side[k + 1 : end] != side[k]
+        x = sets[k]
+        for j in (np.flatnonzero(near) + k + 1).tolist():
+            p, q = find(k), find(j)
+            if p != q:
+                y = sets[j]
+                spot = y.searchsorted(x)
+                if similar(len(x), len(y), int((y[np.minimum(spot, len(y) - 1)] == x).sum())):
+                    parent[max(p, q)] = min(p, q)
+    least: dict[int, int] = {}
+    for k in range(len(sets)):
+        p = find(k)
+        least[p] = min(least.get(p, int(name[k])), int(name[k]))
+    told = {(least[p], int(name[k])) for k in range(len(sets)) if (p := find(k)) != known[k] or p == k}
+    return [(a, b) for a, b in told if a != b]
+
+
+def joined_in_tasks(sets: DataFrame, keys: list[str]) -> DataFrame:
+    """(a, b): the forests of groups of rows (name, shingles, bundle, and root and side where there are some) that have the same keys and bundle."""
+    placed = "root" in sets.columns
+
+    def run(table: pa.Table) -> pa.Table:
+        bundle = table.column("bundle").to_numpy()
+        order = np.lexsort((table.column("name").to_numpy(), bundle))
+        name, bundle = table.column("name").to_numpy()[order], bundle[order]
+        once = np.concatenate(([True], (name[1:] != name[:-1]) | (bundle[1:] != bundle[:-1])))
+        order, name, bundle = order[once], name[once], bundle[once]
+        raw = table.column("shingles").combine_chunks()
+        root, side = (table.column(c).to_numpy()[order] if placed else None for c in ("root", "side"))
+        edge = np.flatnonzero(np.concatenate(([True], bundle[1:] != bundle[:-1], [True])))
+        found: list[tuple[int, int]] = []
+        for lo, hi in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True):
+            if hi - lo > 1:
+                held = [np.frombuffer(raw[int(i)].as_buffer(), dtype=np.uint64) for i in order[lo:hi]]
+                own = name[lo:hi] if root is None else root[lo:hi]
+                found += forest(name[lo:hi], held, own, None if side is None or not side[lo:hi].any() else side[lo:hi])
+        return pa.table([pa.array([p[0] for p in found], pa.int64()), pa.array([p[1] for p in found], pa.int64())], names=["a", "b"])
+
+    return sets.groupBy(*keys).applyInArrow(run, "a long, b long")
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -295,129 +418,73 @@ def components(links: DataFrame) -> DataFrame:
             return labels
 
 
-def met_in_groups(shared: DataFrame, buckets: int) -> DataFrame:
-    """Pairs (a < b): in each token's group each set with the best-connected set of its size range."""
-
-    def stars(table: pa.Table) -> pa.Table:
-        name, n, token, degree = (table.column(c).to_numpy() for c in ("name", "n", "token", "degree"))
-        order = np.lexsort((name, -degree, token))
-        name, n, token = name[order], n[order].astype(np.int64), token[order]
-        edge = np.flatnonzero(np.concatenate(([True], token[1:] != token[:-1], [True])))
-        parts = []
-        for i, j in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True):
-            left_name, left_n = name[i:j], n[i:j]
-            while len(left_name) > 1:  # the best-connected set, those of its size range, then what is left
-                c, s = left_name[0], left_n[0]
-                near = fits(left_n, s)
-                other = left_name[1:][near[1:]]
-                parts.append((np.full(len(other), c), other))
-                left_name, left_n = left_name[~near], left_n[~near]
-        return distinct_pairs(parts)
-
-    return shared.groupBy(F.pmod(F.xxhash64("token"), F.lit(buckets)).alias("bucket")).applyInArrow(stars, "a long, b long").distinct()
-
-
-def fits(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """Whether sets of these sizes can link at all."""
-    return (100 * a >= PERCENT * b) & (100 * b >= PERCENT * a)
-
-
-def distinct_pairs(parts: list[tuple[np.ndarray, np.ndarray]]) -> pa.Table:
-    """(a, b) with a < b, each once."""
-    x = np.concatenate([p[0] for p in parts]) if parts else np.zeros(0, np.int64)
-    y = np.concatenate([p[1] for p in parts]) if parts else np.zeros(0, np.int64)
-    a, b = np.minimum(x, y), np.maximum(x, y)
-    order = np.lexsort((b, a))
-    a, b = a[order], b[order]
-    new = np.concatenate(([True], (a[1:] != a[:-1]) | (b[1:] != b[:-1])))[: len(a)]
-    return pa.table([pa.array(a[new]), pa.array(b[new])], names=["a", "b"])
-
-
-def across_small(open_groups: DataFrame, buckets: int) -> DataFrame:
-    """Pairs (a < b) of different components in groups of at most SMALL sets: at most SMALL squared of them a group."""
-
-    def cross(table: pa.Table) -> pa.Table:
-        name, n, root, token = (table.column(c).to_numpy() for c in ("name", "n", "root", "token"))
-        order = np.argsort(token, kind="stable")
-        name, n, root, token = name[order], n[order].astype(np.int64), root[order], token[order]
-        first = np.flatnonzero(np.concatenate(([True], token[1:] != token[:-1])))
-        size = np.diff(first, append=len(token))
-        parts = []
-        for m in np.unique(size).tolist():  # all groups of one size at once, some thousands of pairs at a time
-            i, j = np.triu_indices(m, 1)
-            starts = first[size == m]
-            step = max(1, 300_000 // max(1, len(i)))
-            for k in range(0, len(starts), step):
-                x, y = ((starts[k : k + step, None] + z[None, :]).ravel() for z in (i, j))
-                keep = (root[x] != root[y]) & fits(n[x], n[y])
-                parts.append((name[x[keep]], name[y[keep]]))
-        return distinct_pairs(parts)
-
-    return open_groups.groupBy(F.pmod(F.xxhash64("token"), F.lit(buckets)).alias("bucket")).applyInArrow(cross, "a long, b long").distinct()
-
-
-def across_large(open_groups: DataFrame, sets: DataFrame) -> DataFrame:
-    """The same in groups of any size, compared by sketch in blocks; only pairs that are close enough come out."""
-
-    def compare(table: pa.Table) -> pa.Table:
-        name, n, root, side = (table.column(c).to_numpy() for c in ("name", "n", "root", "side"))
-        n = n.astype(np.int64)
-        bits = np.frombuffer(b"".join(table.column("sketch").to_pylist()), dtype=np.uint64).reshape(len(name), -1)
-        one = table.column("i")[0].as_py() == table.column("j")[0].as_py()
-        p = np.flatnonzero(side == 0)
-        q = p if one else np.flatnonzero(side == 1)
-        if one:  # pairs inside the largest component need no look
-            values, counts = np.unique(root, return_counts=True)
-            p = p[root[p] != values[counts.argmax()]]
-        parts = []
-        for k in p:
-            fit = q[(root[q] != root[k]) & fits(n[q], n[k])]
-            if len(fit):
-                far = np.bitwise_count(bits[fit] ^ bits[k]).sum(axis=1, dtype=np.int64)
-                fit = fit[far <= (n[fit] + n[k]) * (100 - PERCENT) // (100 + PERCENT)]
-                parts.append((np.full(len(fit), name[k]), name[fit]))
-        return distinct_pairs(parts)
-
-    blocks = F.ceil(F.col("members") / BLOCK).cast("int")
+def links_of_large(kept: DataFrame, large: DataFrame, sets: DataFrame) -> DataFrame:
+    """(a, b): links of bundles too large for one task. large: name, n; sets: name, shingles, bundle."""
+    rows = kept.join(large.select("name", "n"), "name")
+    shingles = sets.select("name", "shingles")
+    # First the sets with the same least token, a block at a time: what is alike for the most part is connected here.
+    first = rows.groupBy("name").agg(F.min("token").alias("token"), F.max("n").alias("n"))
+    sizes = first.groupBy("token").agg(F.sum("n").alias("weight"))
+    dealt = first.join(sizes, "token").select("token", "name", F.pmod(F.xxhash64("name"), F.ceil(F.col("weight") / BLOCK)).alias("i"))
+    start = cut(joined_in_tasks(dealt.join(shingles, "name").withColumn("bundle", F.col("token")), ["token", "i"]))
+    # Then whatever tokens have sets of several components, across components, by pairs of blocks.
+    labels = components(start)
+    rooted = rows.join(labels, "name", "left").select("token", "name", "n", F.coalesce("root", "name").alias("root"))
+    open_ = rooted.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.sum("n").alias("weight")).filter("lo < hi").select("token", "weight")
+    blocks = F.ceil(F.col("weight") / BLOCK).cast("int")
     own = F.pmod(F.xxhash64("name"), blocks).cast("int")
-    rows = open_groups.withColumn("own", own).withColumn("peer", F.explode(F.sequence(F.lit(0), blocks - 1)))
-    rows = rows.select("token", F.least("own", "peer").alias("i"), F.greatest("own", "peer").alias("j"), (F.col("own") > F.col("peer")).cast("int").alias("side"), "name", "n", "root")
-    rows = rows.join(sets.select("name", "sketch"), "name")
-    return rows.groupBy("token", "i", "j").applyInArrow(compare, "a long, b long").distinct()
+    far = rooted.join(open_, "token").withColumn("own", own).withColumn("peer", F.explode(F.sequence(F.lit(0), blocks - 1)))
+    far = far.select("token", F.least("own", "peer").alias("i"), F.greatest("own", "peer").alias("j"), (F.col("own") > F.col("peer")).cast("int").alias("side"), "name", "root")
+    across = joined_in_tasks(far.join(shingles, "name").withColumn("bundle", F.col("token")), ["token", "i", "j"])
+    return start.unionByName(cut(across))
 
 
-def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """doc_id, n_shingles, component_id of every document."""
+def linked(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """doc_id, row, n_shingles, name, root (the component's: its least name; null for empty sets) of every row of docs."""
+    spark = docs.sparkSession
     named = cut(named_sets(docs, key, text))
     total = named.agg(F.sum("n_shingles")).first()[0] or 0
-    shared, path = written(shared_tokens(docs, text, max(1, math.ceil(total * 0.6 / KEYS_PER_BUCKET))))
-    enough = shared.groupBy("name", "band").agg(F.count("*").alias("had"), F.max("asked").alias("asked")).filter("had >= asked").select("name", "band", "had")
-    enough = cut(enough.withColumn("degree", F.sum("had").over(Window.partitionBy("name"))).select("name", "band", "degree"))  # a set has a few bands
-    kept = shared.select("name", "band", "n", "token").join(F.broadcast(enough) if is_small(enough) else enough, ["name", "band"]).select("name", "n", "token", "degree")
-    buckets = 12 * max(1, math.ceil(shared.count() / KEYS_PER_BUCKET / 12))
-    pairs = cut(met_in_groups(kept, buckets))
-    first_ids = named.filter("name is not null").groupBy("name").agg(F.min("doc_id").alias("doc_id"))
-    wanted = enough.select("name").distinct()
-    sets = cut(sets_of(docs, cut(first_ids.join(wanted, "name", "left_semi").select(F.col("doc_id").alias(key))), key, text))
-    links = cut(verified(pairs, sets))
-    labels = components(links)
-    rooted = kept.join(F.broadcast(labels) if is_small(labels) else labels, "name", "left").select("token", "name", "n", F.coalesce("root", "name").alias("root"))
-    large = cut(kept.groupBy("token").agg(F.count("*").alias("members")).filter(F.col("members") > SMALL))
-    large = F.broadcast(large) if is_small(large) else large
-    far = rooted.join(large, "token")
-    far = cut(far.join(far.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo < hi").select("token"), "token", "left_semi"))
-    more = across_small(rooted.join(large, "token", "left_anti"), buckets).unionByName(across_large(far, sets)).distinct()
-    found = cut(verified(cut(more.join(pairs, ["a", "b"], "left_anti")), sets))
-    if not found.isEmpty():
-        labels = components(links.union(found))
-    removed(docs.sparkSession, path)  # nothing below reads it
-    by_name = first_ids.join(labels, "name", "left").select("name", "doc_id", F.coalesce("root", "name").alias("root"))
-    least = by_name.groupBy("root").agg(F.min("doc_id").alias("component_id"))
-    places = by_name.join(least, "root").select("name", "component_id")
-    return named.join(places, "name", "left").select(F.col("doc_id").alias(key), "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
+    buckets = max(1, math.ceil(total * 0.6 / KEYS_PER_BUCKET))
+    kept, path = written(rarest(shared_tokens(docs, text, buckets)))
+    edges = cut(bundled(kept, max(1, math.ceil(kept.count() / KEYS_PER_BUCKET * 4))))
+    meta = named.filter("name is not null").groupBy("name").agg(F.min("row").alias("row"), F.greatest(F.max("n_shingles"), F.lit(LEAST_WEIGHT)).alias("n"))
+    placed = cut(components(edges).withColumnRenamed("root", "bundle").join(meta, "name"))
+    large = placed.groupBy("bundle").agg(F.sum("n").alias("n")).filter(F.col("n") > MOST_SHINGLES).select("bundle")
+    large = cut(placed.join(large, "bundle", "left_semi"))
+    tasks = max(1, math.ceil((placed.agg(F.sum("n")).first()[0] or 0) / TASK_SHINGLES))
+    some = not large.isEmpty()
+    small = placed.join(large.select("bundle").distinct(), "bundle", "left_anti") if some else placed
+    links = cut(joined_in_tasks(sets_of(docs, small.select("row", "bundle"), key, text).withColumn("task", F.pmod(F.xxhash64("bundle"), F.lit(tasks))), ["task"]))
+    if some:
+        sets, more = written(sets_of(docs, large.select("row", "bundle"), key, text))
+        links = links.unionByName(links_of_large(kept, large, sets))
+        labels = components(links)
+        removed(spark, more)
+    else:
+        labels = components(links)
+    removed(spark, path)  # nothing below reads it
+    return named.join(labels, "name", "left").select("doc_id", "row", "n_shingles", "name", F.coalesce("root", "name").alias("root"))
+
+
+def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """doc_id, n_shingles, component_id of every document."""
+    found = cut(linked(docs, key, text))
+    least = found.filter("root is not null").groupBy("root").agg(F.min("doc_id").alias("component_id"))
+    return found.join(least, "root", "left").select(F.col("doc_id").alias(key), "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
 
 
 def one_of_each(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """docs with one document of each component, the one with the smallest id; all columns as they were."""
-    found = near_duplicates(docs, key, text)
-    return without_ids(docs, cut(found.filter(F.col(key) != F.col("component_id")).select(key).distinct()), key)
+    """docs with one row of each component, that with the smallest id (rows without an id last); all columns as they were."""
+    found = cut(linked(docs, key, text))
+    order = F.struct(F.col("doc_id").isNull().alias("none"), F.col("doc_id").alias("id"), F.col("row").alias("row"))
+    chosen = found.filter("root is not null").groupBy("root").agg(F.min(order)["row"].alias("first"))
+    rows = found.join(chosen, "root").groupBy("row").agg(F.first("first").alias("first"), F.count("*").alias("n"))
+    rows = cut(rows.filter("row <> first OR n > 1").select("row", F.when(F.col("row") == F.col("first"), True).otherwise(False).alias("stays")))
+    h = free_name(docs, "_row")
+    marked = docs.withColumn(h, row_name(docs, key, text))
+    gone = rows.select(F.col("row").alias(h))
+    left = marked.join(F.broadcast(gone) if is_small(gone) else gone, h, "left_anti")
+    repeated = rows.filter("stays").select(F.col("row").alias(h))  # copies in everything that counts: one of them
+    if not repeated.isEmpty():
+        left = left.unionByName(marked.join(repeated, h, "left_semi").dropDuplicates([h]))
+    return left.drop(h)
