@@ -7,12 +7,12 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 from turnwise.llm import decontamination, exact_dedup, jaccard_join, language_id, packing
-from turnwise.llm.common import shared_folder, table
+from turnwise.llm.common import removed, shared_folder, table
 from turnwise.llm.queries import tokenizer_path
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents whose text is in some language; those without a letter go."""
+    """Documents whose text is in some language, a missing lang filled in; those without a letter go."""
     return language_id.recognised(docs)
 
 
@@ -55,9 +55,17 @@ def stage_folder(spark: SparkSession) -> str:
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over documents, each written as Parquet in the shared folder and read again by the next."""
-    folder, docs = stage_folder(spark), table(spark, sf_dir, "documents")
-    for name, stage in STAGES:
-        stage(spark, docs, sf_dir).write.parquet(f"{folder}/{name}")
-        docs = spark.read.parquet(f"{folder}/{name}")
+    """All stages over documents, each written as Parquet in the shared folder and read again by the next. A stage's
+    folder goes once the next one is written, or when a stage fails; the last one holds the result and stays."""
+    folder, docs, before = stage_folder(spark), table(spark, sf_dir, "documents"), None
+    try:
+        for name, stage in STAGES:
+            stage(spark, docs, sf_dir).write.parquet(f"{folder}/{name}")
+            docs = spark.read.parquet(f"{folder}/{name}")
+            if before:
+                removed(spark, before)
+            before = f"{folder}/{name}"
+    except BaseException:
+        removed(spark, folder)
+        raise
     return docs

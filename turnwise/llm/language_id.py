@@ -204,7 +204,9 @@ def identify(docs: DataFrame, learn_from: DataFrame | None = None, key: str = "d
 
 
 def recognised(docs: DataFrame, key: str = "doc_id", text: str = "text", lang: str = "lang") -> DataFrame:
-    """docs without the rows whose text is in no language (null or without a letter); all columns as they were."""
+    """docs without the rows whose text is in no language (null or without a letter); where lang is null it is the one
+    predicted, all other columns are as they were."""
     predict = predictor(docs, docs, key, text, lang)
     found = free_name(docs, "_found")
-    return docs.withColumn(found, predict(F.col(text))).filter(F.col(found)["lang_pred"] != UND).drop(found)
+    named = docs.withColumn(found, predict(F.col(text))).filter(F.col(found)["lang_pred"] != UND)
+    return named.withColumn(lang, F.coalesce(F.col(lang), F.col(found)["lang_pred"])).select(*docs.columns)

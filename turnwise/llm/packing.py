@@ -32,7 +32,7 @@ CAPACITY = 2048
 END_ID = 0
 #: Documents of a cell, and words remembered per worker.
 CELL_DOCS = 50_000
-MEMO = 600_000
+MEMO = 100_000
 #: The local search ends after so many bins in a row that it could not empty.
 STALL = 300
 
@@ -55,6 +55,8 @@ class Encoder:
         vocabulary = self.library.get_vocab(with_added_tokens=False)
         self.closes = np.zeros(max(vocabulary.values()) + 1, dtype=bool)  # ids that end a word
         self.closes[[i for t, i in vocabulary.items() if t.endswith("</w>")]] = True
+        del vocabulary
+        trim()  # what reading the file left behind
 
     def learn(self, words: list[str]) -> None:
         """Encode distinct words: letter words in one text, since their ends show in the ids; others one by one."""
@@ -100,6 +102,8 @@ def pieces(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, end_id: in
             rows, piece, start, length, crc = [], [], [], [], []
             encoded = (e for k in range(0, batch.num_rows, 64) for e in encoder.encode_all([t or "" for t in batch.column(1).slice(k, 64).to_pylist()]))
             for i, ids in enumerate(encoded):
+                if i % 2048 == 2047:
+                    trim()
                 ids += end
                 n = len(ids) // 4
                 for k in range(0, n, capacity):
