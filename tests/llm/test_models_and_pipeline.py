@@ -54,23 +54,46 @@ def test_language_id(spark, odd, nothing):
     there = language_id.identify(odd).collect()
     assert len(there) == len(odd_rows()) and sum(r.lang_pred == "und" for r in there) == 4
     assert language_id.identify(nothing).collect() == [] and language_id.recognised(odd).columns == odd.columns
-    assert {r.lang_pred for r in language_id.identify(odd.withColumn("lang", F.lit(None).cast("string"))).collect()} == {"und"}
+    assert language_id.recognised(odd).filter("lang IS NULL").count() == 0 and {r.lang_pred for r in language_id.identify(odd.withColumn("lang", F.lit(None).cast("string"))).collect()} == {"und"}
+
+
+def greedy(text, sample):
+    """Phrases of a direct greedy parse."""
+    n, phrase = 1, ""
+    for ch in text:
+        if phrase + ch in sample:
+            phrase += ch
+        else:  # the phrase ends; the next begins with this letter, or after it if the sample does not have it
+            n, phrase = n + 1, ch if ch in sample else ""
+    return n
 
 
 def test_cross_parsing_by_hand():
-    """Phrases of the table against a direct greedy parse of letters and gaps."""
-    samples = {"a": ["abracadabra alakazam"], "b": ["hocus pocus fidibus"]}
+    """Phrases of the table against a direct greedy parse of letters and gaps, beyond the borders of segments too."""
+    rng = np.random.default_rng(7)
+    samples = {"a": [" ".join(("abracadabra alakazam " * 3 + "".join(rng.choice(list("abcr "), 300))).split())], "b": ["hocus pocus fidibus"]}
     parser = language_id.Parser(samples)
-    for text in ("abrakadabra", "focus", "zzz", "alakazam hocus", "q"):
-        sums, _ = parser.phrases([text])
+    long = [" ".join("".join(rng.choice(list("abcrkz"), int(rng.integers(1, 9)))) for _ in range(n)) for n in (60, 200, 1500)]
+    texts = ["abrakadabra", "focus", "zzz", "alakazam hocus", "q", *long, samples["a"][0] * 5]
+    sums, sizes = parser.phrases([*texts, None, "!!"])
+    assert sizes[-2:].tolist() == [0, 0] and max(sizes) > 2000
+    for i, text in enumerate(texts):
         for k, name in enumerate(parser.languages):
-            n, phrase = 1, ""
-            for ch in text:
-                if phrase + ch in samples[name][0]:
-                    phrase += ch
-                else:  # the phrase ends; the next begins with this letter, or after it if the sample does not have it
-                    n, phrase = n + 1, ch if ch in samples[name][0] else ""
-            assert sums[0, k] == n, (text, name)
+            assert sums[i, k] == greedy(text, samples[name][0]), (text[:30], name)
+    assert sums[:-2].tolist() == [parser.phrases([t])[0][0].tolist() for t in texts]
+
+
+def test_large_scripts_keep_their_letters():
+    """More letters than have codes of their own: each still differs from the others, and the smaller sample is at no loss."""
+    rng = np.random.default_rng(3)
+    han, kana = [chr(0x4E00 + k) for k in range(900)], [chr(0x3400 + k) for k in range(900)]
+    draw = lambda letters, n: ["".join(rng.choice(letters, 3)) for _ in range(n)]
+    words = {"x": draw(han, 60), "y": draw(kana, 60)}
+    text = lambda name, n: " ".join(rng.choice(words[name], n))
+    parser = language_id.Parser({"x": [text("x", 900)], "y": [text("y", 90)]})
+    assert parser.width <= 256
+    got, score = parser.predict([text("x", 20), text("y", 20), text("y", 200), text("x", 1)])
+    assert got == ["x", "y", "y", "x"] and all(0 < s <= 1 for s in score)
 
 
 def auc(y, s):

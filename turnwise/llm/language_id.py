@@ -1,13 +1,19 @@
 """Language identification by cross-parsing entropy.
 
 For each language a suffix automaton is built over a bounded sample of labelled text. A text is parsed against
-it greedily: each phrase is the longest stretch that occurs in the sample, and the language that needs the
-fewest phrases a character wins. The automaton is made a complete transition table in which a dead end counts
-a phrase and starts the next one, so that whole batches of text run through all languages in step.
+it greedily: each phrase is the longest stretch that occurs in the sample. Phrases against a sample of n codes
+weigh log2(n) bits each, so that samples of unequal sizes compare: the language that needs the fewest phrases so
+normalised wins. The automaton is made a complete transition table in which a dead end counts a phrase and
+starts the next one, so that whole batches of text run through all languages in step.
 
-Texts are read whole, in segments of SEGMENT characters that each begin a phrase. What is learned from: at
-most SAMPLE_ROWS rows a language, at most ROW_CHARS characters of each and LANGUAGE_CHARS in all; nothing else
-about the corpus is gathered.
+Texts are read whole. Long ones run as segments side by side: each begins in the state in which the one before it
+ended, and those whose first state turns out to be another one run again, until none does; so the phrases are
+those of one parse from end to end. Letters beyond the COMMON most frequent ones are written as three digit
+codes each, so that no letter of the samples is lost however large the script.
+
+What is learned from: at most SAMPLE_ROWS rows a language, drawn by a hash of the id, and of each a stretch of
+ROW_CHARS characters from anywhere in its text; nothing else about the corpus is gathered. More than MAX_LANGUAGES
+distinct labels are an error, as the models would not fit a worker.
 
 Defined cases: a text that is null or has no letter is `und` with score 0; with one learned language every
 other text gets it with score 1; ties go to the language first in order; with nothing to learn from every text
@@ -29,12 +35,17 @@ by_value(__name__)
 
 UND = "und"
 FOLDS, HELD_OUT = 5, 0
-SAMPLE_ROWS, ROW_CHARS, LANGUAGE_CHARS = 200, 600, 40_000
+SAMPLE_ROWS, ROW_CHARS = 200, 200
 MAX_LANGUAGES = 200
 SEGMENT = 256
-#: Codes: 0 is a letter that no sample has, 1 anything but letters, 2 padding; then the letters of the samples.
+#: Codes: 0 is a letter that no sample has, 1 anything but letters, 2 padding; then the samples' common letters, then digits.
 UNKNOWN, GAP, PAD, FIRST = 0, 1, 2, 3
-MAX_LETTERS = 250
+#: Letters with a code of their own; the others are three digits of this base.
+COMMON, BASE = 120, 104
+
+
+#: Added to the number of a letter that is spelled in digits.
+RARE = 1 << 20
 
 
 def held_out(key) -> F.Column:
@@ -53,7 +64,9 @@ def samples(docs: DataFrame, key: str = "doc_id", text: str = "text", lang: str
     share = F.lit(None)
     for name, n in counts.items():
         share = F.when(F.col(lang) == name, F.lit(int(min(1.0, 4 * SAMPLE_ROWS / n) * (1 << 30)))).otherwise(share)
-    near = labelled.filter(draw < share).select(F.col(lang).alias("lang"), F.substring(text, 1, ROW_CHARS).alias("text"), draw.alias("draw"), F.col(key).alias("key"))
+    room = F.greatest(F.length(text) - ROW_CHARS, F.lit(0)) + 1
+    stretch = F.substr(F.col(text), (F.pmod(F.xxhash64(F.lit("stretch"), F.col(key)), room) + 1).cast("int"), F.lit(ROW_CHARS))
+    near = labelled.filter(draw < share).select(F.col(lang).alias("lang"), stretch.alias("text"), draw.alias("draw"), F.col(key).alias("key"))
     best = Window.partitionBy("lang").orderBy("draw", "key", "text")
     rows = near.withColumn("rank", F.row_number().over(best)).filter(F.col("rank") <= SAMPLE_ROWS).orderBy("lang", "rank").collect()
     out: dict[str, list[str]] = {}
@@ -97,39 +110,60 @@ class Parser:
 
     def __init__(self, texts: dict[str, list[str]]):
         self.languages = sorted(texts)
-        joined = {k: "\n".join(v)[:LANGUAGE_CHARS].lower() for k, v in texts.items()}
+        joined = {k: "\n".join(v).lower() for k, v in texts.items()}
         seen: dict[str, int] = {}
         for t in joined.values():
             for ch in t:
                 if ch.isalpha():
                     seen[ch] = seen.get(ch, 0) + 1
-        letters = sorted(seen, key=lambda ch: (-seen[ch], ch))[:MAX_LETTERS]
-        self.width = FIRST + len(letters)
-        self.code = np.full(0x110000, GAP, dtype=np.uint8)
-        alpha = process_cache("language").setdefault("alpha", np.array([chr(i).isalpha() for i in range(0x110000)]))
+        letters = sorted(seen, key=lambda ch: (-seen[ch], ch))
+        common, rare = letters[:COMMON], letters[COMMON:]
+        self.digits = FIRST + len(common)
+        self.width = self.digits + (BASE if rare else 0)
+        # Of each code point its code; from RARE on, that much more than the number that its digits spell.
+        self.code = np.full(0x110000, GAP, dtype=np.int32)
+        alpha = process_cache("language").setdefault("alpha", np.fromiter((chr(i).isalpha() for i in range(0x110000)), dtype=bool, count=0x110000))
         self.code[alpha] = UNKNOWN
-        for i, ch in enumerate(letters):
+        for i, ch in enumerate(common):
             self.code[ord(ch)] = FIRST + i
+        for i, ch in enumerate(rare):
+            self.code[ord(ch)] = RARE + i
+        coded = [self.codes(joined[name]) for name in self.languages]
+        self.bits = np.array([np.log2(max(len(c), 2)) for c in coded])
+        kind = np.int32 if (2 * sum(map(len, coded)) + len(coded)) * self.width * 2 < 2**31 else np.int64  # 2n states at most
         tables, self.roots, at = [], [], 0
-        for name in self.languages:
-            moves = automaton(self.codes(joined[name]).tolist())
-            table = np.full((len(moves), self.width), -1, dtype=np.int64)
+        for c in coded:
+            moves = automaton(c.tolist())
+            table = np.full((len(moves), self.width), -1, dtype=kind)
             for s, m in enumerate(moves):
-                for c, to in m.items():
-                    table[s, c] = to * self.width * 2
+                table[s, list(m)] = list(m.values())
+            del moves
+            table[table >= 0] *= self.width * 2
             restart = np.where(table[0] >= 0, table[0], 0) + 1  # the low bit counts a phrase
             table = np.where(table >= 0, table, restart)
-            table[:, PAD] = np.arange(len(moves)) * self.width * 2
-            tables.append((table + at * 2).ravel())
+            table[:, PAD] = np.arange(len(table)) * self.width * 2
+            table += at * 2
+            tables.append(table.ravel())
             self.roots.append(at * 2)
-            at += len(moves) * self.width
-        self.table = np.concatenate(tables).astype(np.int32 if at * 2 < 2**31 else np.int64) if tables else np.zeros(0, np.int32)
+            at += len(table) * self.width
+        self.table = np.concatenate(tables) if tables else np.zeros(0, np.int32)
+        del tables
+        trim()
 
     def codes(self, text: str) -> np.ndarray:
         """Letter codes, each run of anything else as one gap."""
         c = self.code[np.frombuffer(text.lower().encode("utf-32-le", "replace"), dtype="<u4")]
         gap = c == GAP
-        return c[~(gap & np.concatenate(([False], gap[:-1])))] if len(c) else c
+        c = c[~(gap & np.concatenate(([False], gap[:-1])))] if len(c) else c
+        rare = c >= RARE
+        if rare.any():
+            spelled = np.where(rare, 3, 1)
+            out = np.repeat(c, spelled)
+            place = np.cumsum(spelled) - spelled
+            for k in range(3):
+                out[place[rare] + k] = self.digits + (c[rare] - RARE) // BASE**k % BASE
+            c = out
+        return c.astype(np.uint8)
 
     def phrases(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
         """Phrases per text and language, and the codes of each text (0 if it has no letter)."""
@@ -142,23 +176,37 @@ class Parser:
             grid[at : at + n] = c[:n]
             at += p * SEGMENT
         grid = grid.reshape(-1, SEGMENT)
-        counts = np.zeros((len(grid), len(self.languages)), dtype=np.int64)
-        for k in range(0, len(grid), 8192):
-            steps = np.ascontiguousarray(grid[k : k + 8192].T)
-            value = np.repeat(np.array(self.roots, dtype=self.table.dtype)[:, None], steps.shape[1], axis=1)
-            total = np.ones(value.shape, dtype=np.int32)
-            for c in steps:
-                value = self.table.take((value >> 1) + c)
-                total += value & 1
-            counts[k : k + 8192] = total.T
+        many = len(self.languages)
         owner = np.repeat(np.arange(len(texts)), parts)
-        sums = np.stack([np.bincount(owner, weights=counts[:, j], minlength=len(texts)) for j in range(len(self.languages))], axis=1) if len(self.languages) else np.zeros((len(texts), 0))
+        opens = np.concatenate(([True], owner[1:] != owner[:-1]))[: len(grid)]
+        counts = np.zeros((len(grid), many), dtype=np.int64)
+        first = np.repeat(np.array(self.roots, dtype=self.table.dtype)[None, :], len(grid), axis=0)
+        last = first.copy()
+        todo = np.arange(len(grid))
+        while len(todo) and many:
+            for k in range(0, len(todo), 8192):
+                some = todo[k : k + 8192]
+                steps = np.ascontiguousarray(grid[some].T)
+                value = np.ascontiguousarray(first[some].T)
+                total = np.zeros(value.shape, dtype=np.int32)
+                for c in steps:
+                    value = self.table.take((value >> 1) + c)
+                    total += value & 1
+                counts[some], last[some] = total.T, value.T & ~1
+            true = first.copy()
+            later = np.flatnonzero(~opens)
+            true[later] = last[later - 1]  # where the segment before ended
+            todo = np.flatnonzero((true != first).any(axis=1))
+            first = true
+        counts[opens] += 1
+        sums = np.stack([np.bincount(owner, weights=counts[:, j], minlength=len(texts)) for j in range(many)], axis=1) if many else np.zeros((len(texts), 0))
         return sums, size
 
     def predict(self, texts: list[str | None]) -> tuple[list[str], list[float]]:
         if not self.languages:
             return [UND] * len(texts), [0.0] * len(texts)
         sums, size = self.phrases(texts)
+        sums = sums * self.bits
         best = sums.argmin(axis=1)
         if len(self.languages) > 1:
             low = np.partition(sums, 1, axis=1)
@@ -193,7 +241,7 @@ def predictor(docs: DataFrame, learn_from: DataFrame, key: str, text: str, lang:
         return pd.DataFrame({"lang_pred": pd.Series(names, dtype=object), "score": scores})
 
     predict.__annotations__ = {"column": pd.Series, "return": pd.DataFrame}
-    return F.pandas_udf(predict, "lang_pred string, score double")
+    return F.pandas_udf(predict, "lang_pred string, score double").asNondeterministic()  # so that no plan runs it twice a row
 
 
 def identify(docs: DataFrame, learn_from: DataFrame | None = None, key: str = "doc_id", text: str = "text", lang: str = "lang") -> DataFrame:
