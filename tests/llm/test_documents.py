@@ -176,7 +176,7 @@ def test_exact_dedup_odd(odd, nothing):
     kept = exact_dedup.keep_first(odd)
     assert kept.columns == odd.columns
     ids = [r.doc_id for r in kept.collect()]
-    assert sorted(i for i in ids if i is not None) == [1, 4, 5, 7, 8, 9, 10, 11, 12, 13]
+    assert sorted(i for i in ids if i is not None) == [1, 4, 5, 7, 8, 9, 10, 11, 12, 13] and ids.count(None) == 1
 
 
 def test_sharding(spark, small, odd, nothing):
@@ -273,7 +273,7 @@ def test_decontamination(spark, odd, nothing):
                 want[k, q] = (n, len(a))
     assert got == want and (1, 10) in got and (3, 10) in got and (4, 10) not in got and (5, 11) in got
     left = decontamination.clean(docs, items)
-    assert left.columns == docs.columns and {r.doc_id for r in left.collect()} == {2, 4, 6, 8}
+    assert left.columns == docs.columns and {(r.doc_id, r.text) for r in left.collect()} == {r for r in rows if r[0] in (2, 4, 6, 8) or r[1] == "other words only"}
     assert decontamination.contained(nothing, items).collect() == [] and decontamination.contained(docs, nothing.withColumnRenamed("doc_id", "item_id")).collect() == []
     assert decontamination.clean(odd, items).count() == odd.count()
 
@@ -288,20 +288,41 @@ def test_decontamination_without_broadcast(spark, small, monkeypatch):
 def test_decontamination_searches_by_sketch(spark, monkeypatch):
     """A size partition has one sketch length, and nothing but the sketches' candidates is verified."""
     items = spark.createDataFrame([(n, " ".join(f"i{n}w{k}" for k in range(n + 4))) for n in (1, 2, 3, 7, 16, 20, 31, 32)], "item_id long, text string")
-    got = {r.item_id: r.n for r in decontamination.item_shingles(items, "item_id", "text").groupBy("item_id").agg(F.sum(F.col("in_sketch").cast("int")).alias("n")).collect()}
+    got = {r.item_id: r.n for r in decontamination.item_shingles(items, "item_id", "text").groupBy(F.col("item_id")["id"].alias("item_id")).agg(F.sum(F.col("in_sketch").cast("int")).alias("n")).collect()}
     assert got == {1: 1, 2: 1, 3: 1, 7: 2, 16: 8, 20: 8, 31: 8, 32: 16}
     docs = items.withColumnRenamed("item_id", "doc_id").unionByName(spark.createDataFrame([(None, "i7w0 " + " ".join(f"i7w{k}" for k in range(11)))], "doc_id long, text string"))
     assert len(decontamination.contained(docs, items).collect()) == 9
     search = decontamination.candidates
-    monkeypatch.setattr(decontamination, "candidates", lambda *a: search(*a).filter("item_id <> 20"))
+    monkeypatch.setattr(decontamination, "candidates", lambda *a: search(*a).filter("item_id.id <> 20"))
     assert {r.item_id for r in decontamination.contained(docs, items).collect()} == {1, 2, 3, 7, 16, 31, 32}
 
 
-def test_exact_dedup_without_broadcast(spark, small, monkeypatch):
-    docs = table(spark, small, "documents")
-    want = sorted(map(str, exact_dedup.progressive_duplicates(docs, digest_all=True).collect()))
-    monkeypatch.setattr(exact_dedup, "is_small", lambda *a, **k: False)
-    assert sorted(map(str, exact_dedup.progressive_duplicates(docs, digest_all=True).collect())) == want
+@pytest.mark.parametrize("digest_all", [False, True])
+def test_exact_dedup_without_broadcast(spark, small, odd, monkeypatch, digest_all):
+    """The same rows by broadcast pairs and by bitmap, digests of survivors alone included."""
+    for docs in (table(spark, small, "documents"), odd):
+        want = sorted(map(str, exact_dedup.progressive_duplicates(docs, digest_all=digest_all).collect()))
+        assert digest_all or any("text_sha256=None" in r for r in want)
+        kept = sorted(map(str, exact_dedup.keep_first(docs).collect()))
+        with monkeypatch.context() as m:
+            m.setattr(exact_dedup, "is_small", lambda *a, **k: False)
+            assert sorted(map(str, exact_dedup.progressive_duplicates(docs, digest_all=digest_all).collect())) == want
+            assert sorted(map(str, exact_dedup.keep_first(docs).collect())) == kept
+
+
+def test_rows_go_by_row(spark):
+    """Null and repeated ids: what goes is the row, not its id."""
+    item = " ".join(f"q{i}" for i in range(30))
+    near = item.replace("q29", "qq")
+    rows = [(None, item), (None, "clean words of nobody"), (5, item), (5, "another clean text"), (5, "another clean text"), (6, near), (None, near), (None, near)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").withColumn("_row", F.lit("clash"))
+    items = spark.createDataFrame([(1, item), (1, item), (None, item)], "item_id long, text string")
+    same = lambda df: sorted(map(str, [(r.doc_id, r.text) for r in df.collect()]))
+    left = decontamination.clean(docs, items)
+    assert left.columns == docs.columns and same(left) == sorted(map(str, [r for r in rows if r[1] not in (item, near)]))
+    assert {(r.doc_id, r.item_id) for r in decontamination.contained(docs, items).collect()} == {(k, i) for k in (None, 5, 6) for i in (1, None)}
+    assert same(exact_dedup.keep_first(docs)) == sorted(map(str, [(None, "clean words of nobody"), (5, item), (5, "another clean text"), (6, near)]))
+    assert same(jaccard_join.one_of_each(docs)) == sorted(map(str, [(None, "clean words of nobody"), (5, item), (5, "another clean text")]))
 
 
 def test_license_scan(spark, odd, nothing):

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import sys
 import tempfile
 import types
@@ -57,8 +58,10 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_folder(spark: SparkSession) -> None:
-    """Use the session's spark.checkpoint.dir; only where that is unset (tests, a laptop) make a local one."""
+    """Use the session's spark.checkpoint.dir; only in local mode, where that is unset (tests, a laptop), make a local one."""
     if not spark.conf.get("spark.checkpoint.dir", None) and spark.sparkContext._jsc.sc().getCheckpointDir().isEmpty():
+        if not re.fullmatch(r"local(\[[^\]]*\])?", spark.sparkContext.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="turnwise-checkpoint-"))
 
 
@@ -102,6 +105,21 @@ def is_small(df: DataFrame, rows: int = BROADCAST_ROWS) -> bool:
     return df.limit(rows + 1).count() <= rows
 
 
-def without_ids(docs: DataFrame, bad: DataFrame, key: str = "doc_id") -> DataFrame:
-    """docs without the rows whose id is in bad (one column, distinct). Text moves only when bad is too large to broadcast."""
-    return docs.join(F.broadcast(bad) if is_small(bad) else bad, key, "left_anti")
+def row_name(key: Column, text: Column) -> Column:
+    """A hash by which a row is found again, with or without an id; rows that share it are copies in id and text."""
+    return F.xxhash64(key, text)
+
+
+def without_rows(docs: DataFrame, rows: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """docs without the rows named by rows (row, stays; each name once); of copies whose name stays, one remains.
+
+    Text moves only when there are too many names to broadcast, or for the copies that are reduced to one.
+    """
+    h = free_name(docs, "_row")
+    marked = docs.withColumn(h, row_name(F.col(key), F.col(text)))
+    names = rows.select(F.col("row").alias(h))
+    left = marked.join(F.broadcast(names) if is_small(names) else names, h, "left_anti")
+    copied = rows.filter("stays").select(F.col("row").alias(h))
+    if not copied.isEmpty():
+        left = left.unionByName(marked.join(F.broadcast(copied) if is_small(copied) else copied, h, "left_semi").dropDuplicates([h]))
+    return left.drop(h)

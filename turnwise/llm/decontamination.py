@@ -10,7 +10,7 @@ them. Only native functions.
 
 Words are `[^\\x20\\x09-\\x0D]+` with A-Z in lower case; shingles have five words; an item with fewer is one
 shingle, looked up at its own width. Defined cases: a null or wordless text holds and finds nothing; repeated
-ids are documents of their own; several items may match one document; empty tables give an empty result;
+ids are documents of their own; items that share an id are one item, null being an id; several items may match one document; empty tables give an empty result;
 columns besides the id and the text are ignored.
 """
 
@@ -20,7 +20,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import BROADCAST_ROWS, SPACES, cut, is_small, without_ids
+from .common import BROADCAST_ROWS, SPACES, cut, is_small, row_name, without_rows
 
 WIDTH, PERCENT = 5, 75
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
@@ -41,7 +41,8 @@ def shingles(docs: DataFrame, width: int) -> DataFrame:
 
 def item_shingles(items: DataFrame, key: str, text: str, percent: int = PERCENT) -> DataFrame:
     """item_id, width, gram, item_shingles, in_sketch: the items' distinct shingles, the smallest hashes marked, as many as the size partition says."""
-    cut_up = items.select(F.col(key).alias("item_id"), words(F.col(text)).alias("words")).filter(~((F.size("words") == 1) & (F.get("words", F.lit(0)) == "")))
+    # The id in a struct, for two structs with a null inside are equal.
+    cut_up = items.select(F.struct(F.col(key).alias("id")).alias("item_id"), words(F.col(text)).alias("words")).filter(~((F.size("words") == 1) & (F.get("words", F.lit(0)) == "")))
     sized = cut_up.withColumn("width", F.least(F.size("words"), F.lit(WIDTH)))
     parts = [shingles(sized.filter(F.col("width") == w), w) for w in range(1, WIDTH + 1)]
     every = parts[0]
@@ -71,25 +72,30 @@ def candidates(rows: DataFrame, index: DataFrame, small: bool, widths: list[int]
     return by_width(rows.select("row", "words"), sketches, small, widths).select("row", "item_id").distinct()
 
 
-def contained(docs: DataFrame, items: DataFrame, key: str = "doc_id", text: str = "text", item_key: str = "item_id", item_text: str = "text", percent: int = PERCENT) -> DataFrame:
-    """doc_id, item_id, item_shingles, common, containment of every pair at or over the threshold."""
+def contained_rows(docs: DataFrame, items: DataFrame, key: str, text: str, item_key: str, item_text: str, percent: int) -> DataFrame:
+    """doc_id, row (its name), item_id, item_shingles, common, containment of every pair at or over the threshold."""
     index = cut(item_shingles(items, item_key, item_text, percent))
     widths = sorted(r["width"] for r in index.select("width").distinct().collect()) or [WIDTH]  # at most WIDTH values
     small = is_small(index, BROADCAST_ROWS // 4)
-    # A document is named by its id and words, so that both passes name it alike.
-    rows = docs.select(F.col(key).alias("doc_id"), words(F.col(text)).alias("words")).withColumn("row", F.xxhash64("doc_id", "words"))
-    near = cut(candidates(rows, index, small, widths))
+    named = docs.select(F.col(key).alias("doc_id"), row_name(F.col(key), F.col(text)).alias("row"), F.col(text).alias("text"))
+    near = cut(candidates(named.select("row", words(F.col("text")).alias("words")), index, small, widths))
     with_any = near.select("row").distinct()
-    if is_small(with_any):
-        rows = rows.join(F.broadcast(with_any), "row", "left_semi")
-    hits = by_width(rows, index.drop("in_sketch"), small, widths).join(near, ["row", "item_id"], "left_semi")
+    chosen = named.join(F.broadcast(with_any) if is_small(with_any) else with_any, "row", "left_semi")  # before its words are cut
+    hits = by_width(chosen.select("doc_id", "row", words(F.col("text")).alias("words")), index.drop("in_sketch"), small, widths).join(near, ["row", "item_id"], "left_semi")
     per_gram = hits.select("doc_id", "row", "item_id", "item_shingles", "gram").distinct()
     pairs = per_gram.groupBy("doc_id", "row", "item_id", "item_shingles").agg(F.count("*").alias("common"))
     verified = pairs.filter(F.col("common") * 100 >= F.col("item_shingles") * percent)
-    return verified.select("doc_id", "item_id", "item_shingles", "common", (F.col("common") / F.col("item_shingles")).alias("containment")).distinct()
+    verified = verified.withColumn("item_id", F.col("item_id")["id"])
+    return verified.withColumn("containment", F.col("common") / F.col("item_shingles"))
+
+
+def contained(docs: DataFrame, items: DataFrame, key: str = "doc_id", text: str = "text", item_key: str = "item_id", item_text: str = "text", percent: int = PERCENT) -> DataFrame:
+    """doc_id, item_id, item_shingles, common, containment of every pair at or over the threshold."""
+    found = contained_rows(docs, items, key, text, item_key, item_text, percent)
+    return found.select("doc_id", "item_id", "item_shingles", "common", "containment").distinct()
 
 
-def clean(docs: DataFrame, items: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """docs without the documents that hold a test item; all columns as they were."""
-    bad = cut(contained(docs, items, key, text).select(F.col("doc_id").alias(key)).distinct())
-    return without_ids(docs, bad, key)
+def clean(docs: DataFrame, items: DataFrame, key: str = "doc_id", text: str = "text", item_key: str = "item_id", item_text: str = "text", percent: int = PERCENT) -> DataFrame:
+    """docs without the rows that hold a test item, whatever their ids; all columns as they were."""
+    bad = contained_rows(docs, items, key, text, item_key, item_text, percent).select("row").distinct()
+    return without_rows(docs, cut(bad.withColumn("stays", F.lit(False))), key, text)

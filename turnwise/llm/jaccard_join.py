@@ -43,7 +43,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import by_value, cut, free_name, is_small, process_cache, removed, trim, written
+from .common import by_value, cut, is_small, process_cache, removed, row_name, trim, without_rows, written
 
 by_value(__name__)
 
@@ -157,11 +157,6 @@ def known_words() -> Words:
     return process_cache("shingles").setdefault("words", Words())
 
 
-def row_name(docs: DataFrame, key: str, text: str):
-    """A hash by which a row is found again; rows that share it are copies."""
-    return F.xxhash64(F.col(key), F.col(text))
-
-
 def named_sets(docs: DataFrame, key: str, text: str) -> DataFrame:
     """doc_id, row, n_shingles, name (null for the empty set)."""
 
@@ -177,7 +172,7 @@ def named_sets(docs: DataFrame, key: str, text: str) -> DataFrame:
         trim()
 
     kind = docs.schema[key].dataType.simpleString()
-    narrow = docs.select(F.col(key).alias("doc_id"), row_name(docs, key, text).alias("row"), F.col(text).alias("text"))
+    narrow = docs.select(F.col(key).alias("doc_id"), row_name(F.col(key), F.col(text)).alias("row"), F.col(text).alias("text"))
     return narrow.mapInArrow(run, f"doc_id {kind}, row long, n_shingles long, name long")
 
 
@@ -329,7 +324,7 @@ def sets_of(docs: DataFrame, rows: DataFrame, key: str, text: str) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(names, pa.int64()), pa.array(packed, pa.binary()), pa.array(bundles, pa.int64())], ["name", "shingles", "bundle"])
         trim()
 
-    held = docs.select(row_name(docs, key, text).alias("row"), F.col(text).alias("text"))
+    held = docs.select(row_name(F.col(key), F.col(text)).alias("row"), F.col(text).alias("text"))
     chosen = held.join(F.broadcast(rows) if is_small(rows) else rows, "row").select("text", "bundle")
     return chosen.mapInArrow(run, "name long, shingles binary, bundle long")
 
@@ -479,12 +474,5 @@ def one_of_each(docs: DataFrame, key: str = "doc_id", text: str = "text") -> Dat
     order = F.struct(F.col("doc_id").isNull().alias("none"), F.col("doc_id").alias("id"), F.col("row").alias("row"))
     chosen = found.filter("root is not null").groupBy("root").agg(F.min(order)["row"].alias("first"))
     rows = found.join(chosen, "root").groupBy("row").agg(F.first("first").alias("first"), F.count("*").alias("n"))
-    rows = cut(rows.filter("row <> first OR n > 1").select("row", F.when(F.col("row") == F.col("first"), True).otherwise(False).alias("stays")))
-    h = free_name(docs, "_row")
-    marked = docs.withColumn(h, row_name(docs, key, text))
-    gone = rows.select(F.col("row").alias(h))
-    left = marked.join(F.broadcast(gone) if is_small(gone) else gone, h, "left_anti")
-    repeated = rows.filter("stays").select(F.col("row").alias(h))  # copies in everything that counts: one of them
-    if not repeated.isEmpty():
-        left = left.unionByName(marked.join(repeated, h, "left_semi").dropDuplicates([h]))
-    return left.drop(h)
+    gone = cut(rows.filter("row <> first OR n > 1").select("row", (F.col("row") == F.col("first")).alias("stays")))
+    return without_rows(docs, gone, key, text)
