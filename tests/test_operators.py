@@ -74,6 +74,23 @@ def test_exec_match(spark):
     assert execmatch.exact(base.filter("false"), noisy.filter("false"))
 
 
+def test_exec_match_is_exact_on_numbers(spark):
+    one = lambda kind, *values: spark.createDataFrame([(v,) for v in values], f"x {kind}")
+    from decimal import Decimal
+
+    big = 2**53
+    for same in (execmatch.exact, execmatch.same_fingerprint):
+        assert not same(one("long", big), one("long", big + 1)) and same(one("long", 5), one("int", 5)) and same(one("long", 100), one("double", 100.0))
+        assert not same(one("decimal(38,0)", Decimal(10**30)), one("decimal(38,0)", Decimal(10**30 + 1))) and same(one("decimal(10,2)", Decimal("1.50")), one("decimal(12,4)", Decimal("1.5000")))
+        assert same(one("double", 1.5, -0.0), one("decimal(10,2)", Decimal("1.50"), Decimal("0.00"))) and not same(one("double", 1.5), one("double", 1.50001)) and same(one("double", 1.0 + 1e-12), one("long", 1))
+
+
+def test_executable_by_family(spark):
+    spark.range(5).createOrReplaceTempView("numbers")
+    anchors = spark.createDataFrame([("a", f"select id from numbers where id > {k}") for k in range(50)] + [("b", "select nope from numbers")], "family string, sql string")
+    assert construct.executable(anchors, spark, limit=1, family="family").count() == 50
+
+
 def test_gate_and_batch(spark):
     spark.range(5).createOrReplaceTempView("numbers")
     got = {r.pair_id: (r.ex, r.error_class) for r in execmatch.batch(

@@ -25,6 +25,8 @@ KINDS = [
     ("select a, b from t group by rollup(a, b)", {"PROJECT": 2, "GROUP": 2, "GROUP_MODE": 1}),
     ("select cast(a as decimal(10, 2)), b::int from t where d >= date '1996-01-01'", {"PROJECT": 2, "FILTER": 1}),
     ("select a from t where b > all (select c from u)", {"PROJECT": 2, "FILTER": 1}),
+    ("select [a b] from (t join u on t.x = u.y) where c glob 'q*' and d like 'x!%' escape '!' and e = 'v' collate nocase", {"PROJECT": 1, "FILTER": 3}),
+    ("with z(p, q) as (select a, b from t) select p from z where q = 1", {"PROJECT": 3, "FILTER": 1}),
     ("select extract(year from d), count(distinct x) filter (where y = 1) from t", {"PROJECT": 2}),
 ]
 
@@ -74,7 +76,7 @@ def test_agrees_with_another_parser_on_filters():
 
     con = duckdb.connect()
     for sql, want in KINDS:
-        if "filter" in sql or "::" in sql or "`" in sql:
+        if "filter" in sql or "::" in sql or "`" in sql or "[" in sql:
             continue
         tree = json.loads(con.execute("select json_serialize_sql(?)", [sql]).fetchone()[0] if hasattr(con, "fetchone") else con.execute("select json_serialize_sql(?)", [sql]).fetchall()[0][0])
         assert tree["error"] is False, sql
@@ -85,3 +87,27 @@ def test_agrees_with_another_parser_on_filters():
             on = sql.count(" = 3")  # the one literal comparison inside ON
             assert want.get("FILTER", 0) == n + on, sql
             assert want.get("PROJECT") == len(node["select_list"]), sql
+
+
+NESTED = "select a from t where x in (select y from u where z = {z}{more}) and b = {b}"
+
+
+@pytest.mark.parametrize(
+    "after,lost,gained",
+    [
+        (NESTED.format(z=2, more=" and w > 5", b=1), 1, 1),  # one literal inside
+        (NESTED.format(z=1, more="", b=1), 1, 0),  # one predicate inside
+        (NESTED.format(z=1, more=" and w > 5 and v in (1, 2)", b=1), 0, 1),  # one more inside
+        (NESTED.format(z=1, more=" and w > 5", b=2), 1, 1),  # one literal outside
+        ("select a from t where b = 1", 4, 0),  # the whole nested predicate: itself, its two conditions and its output
+    ],
+)
+def test_nested_changes_count_once(after, lost, gained):
+    pre, post = set(commitments(NESTED.format(z=1, more=" and w > 5", b=1))), set(commitments(after))
+    assert (len(pre - post), len(post - pre)) == (lost, gained)
+
+
+def test_nested_scopes_are_apart():
+    """Two nested queries, one in the other, a union arm and a derived table each have a scope of their own."""
+    got = commitments("select a, (select max(m) from q) from t where x in (select y from u where z = (select min(k) from v)) union select c from (select c from w where d = 1) e")
+    assert {s for _, s, _, _ in got} == {"arm:0", "arm:0/sub:1", "arm:0/sub:2", "arm:0/sub:2/sub:1", "arm:1", "arm:1/from:1"}

@@ -82,7 +82,7 @@ def subtype_profile(t: DataFrame) -> DataFrame:
 
 def extremes(profile: DataFrame) -> DataFrame:
     """How many agents find each subtype easiest and hardest."""
-    per = profile.groupBy("agent").agg(F.max_by("subtype", "dra").alias("easiest"), F.min_by("subtype", "dra").alias("hardest"), (F.max("dra") - F.min("dra")).alias("difference"))
+    per = profile.groupBy("agent").agg(F.max_by("subtype", F.struct("dra", "subtype")).alias("easiest"), F.min_by("subtype", F.struct("dra", "subtype")).alias("hardest"), (F.max("dra") - F.min("dra")).alias("difference"))
     rows = per.select(F.explode(F.array(F.struct(F.col("easiest").alias("subtype"), F.lit(1).alias("e"), F.lit(0).alias("h")), F.struct(F.col("hardest").alias("subtype"), F.lit(0).alias("e"), F.lit(1).alias("h")))).alias("x"))
     return rows.groupBy("x.subtype").agg(F.sum("x.e").alias("easiest_for"), F.sum("x.h").alias("hardest_for"))
 
@@ -109,7 +109,7 @@ def failure_overlap(t: DataFrame) -> DataFrame:
     per = f.groupBy("agent", "anchor_id").agg(fail("C").alias("c"), fail("D").alias("d")).dropna(subset=["c", "d"])
     n = per.groupBy("agent").agg(
         F.sum(F.col("c") * F.col("d")).alias("both_fail"), F.sum(F.col("c") * (1 - F.col("d"))).alias("only_chain"), F.sum((1 - F.col("c")) * F.col("d")).alias("only_drift"),
-        F.sum((1 - F.col("c")) * (1 - F.col("d"))).alias("neither"), F.corr("c", "d").alias("phi"), F.count("*").alias("n"),
+        F.sum((1 - F.col("c")) * (1 - F.col("d"))).alias("neither"), F.try_divide(F.covar_pop("c", "d"), F.stddev_pop("c") * F.stddev_pop("d")).alias("phi"), F.count("*").alias("n"),
     )
     lift = F.try_divide(F.col("both_fail").cast("double") * F.col("n"), (F.col("both_fail") + F.col("only_chain")) * (F.col("both_fail") + F.col("only_drift")))
     return n.withColumn("lift", lift).withColumn("jaccard", F.try_divide(F.col("both_fail").cast("double"), F.col("both_fail") + F.col("only_chain") + F.col("only_drift")))

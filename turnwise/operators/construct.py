@@ -18,14 +18,25 @@ def expand(anchors: DataFrame) -> DataFrame:
     return anchors.withColumn("sample_type", F.explode(F.array(*[F.lit(t) for t in TYPES]))).withColumn("n_targets", F.when(F.col("sample_type") == "C", 1).otherwise(2))
 
 
-def executable(anchors: DataFrame, spark: SparkSession, sql: str = "sql", limit: int = 10_000, threads: int = 8) -> DataFrame:
-    """Anchors whose query the analyser accepts. Distinct query texts are probed on the driver: at most limit, else an error."""
+def executable_families(anchors: DataFrame, spark: SparkSession, family: str = "family", sql: str = "sql", threads: int = 8) -> DataFrame:
+    """The families whose texts the analyser accepts. A family's texts differ in literals only, so one text of each is
+    probed: the driver sees as many texts as there are templates, however many anchors there are."""
+    texts = [(r[0], r[1]) for r in anchors.groupBy(family).agg(F.min(sql)).collect()]
+    with ThreadPoolExecutor(threads) as pool:
+        ok = [(name,) for (name, _), good in zip(texts, pool.map(lambda t: _analysed(spark, t[1]), texts), strict=True) if good]
+    return spark.createDataFrame(ok, f"{family} string")
+
+
+def executable(anchors: DataFrame, spark: SparkSession, sql: str = "sql", limit: int = 10_000, threads: int = 8, family: str | None = None) -> DataFrame:
+    """Anchors whose query the analyser accepts. Without a family column distinct texts are probed on the driver: at most
+    limit of them, else an error; with one, one text of each family is, and there is no limit on anchors."""
+    if family:
+        return anchors.join(F.broadcast(executable_families(anchors, spark, family, sql, threads)), family, "left_semi")
     texts = [r[0] for r in anchors.select(sql).distinct().limit(limit + 1).collect()]
     if len(texts) > limit:
-        raise ValueError(f"more than {limit} distinct queries; probe families instead")
-    probe = lambda q: _analysed(spark, q)
+        raise ValueError(f"more than {limit} distinct queries; name their family")
     with ThreadPoolExecutor(threads) as pool:
-        ok = [(q,) for q, good in zip(texts, pool.map(probe, texts), strict=True) if good]
+        ok = [(q,) for q, good in zip(texts, pool.map(lambda q: _analysed(spark, q), texts), strict=True) if good]
     return anchors.join(F.broadcast(spark.createDataFrame(ok, f"{sql} string")), sql, "left_semi")
 
 

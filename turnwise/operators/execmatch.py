@@ -1,7 +1,8 @@
 """Execution match: whether two results are equal as collections, whatever the order of rows.
 
-Cells are compared by their text, numbers rounded to DIGITS places, null equal to null; column names do not
-count, their order does.
+Cells are compared by their text, null equal to null; column names do not count, their order does. Integers and
+decimals are compared exactly, whatever their types, in one spelling without trailing zeros; floating-point numbers
+are rounded to DIGITS places, and those that are whole numbers a double holds exactly are spelled like integers.
 """
 
 from __future__ import annotations
@@ -24,12 +25,28 @@ def canonical(df: DataFrame) -> DataFrame:
     out = []
     for i, f in enumerate(df.schema.fields):
         c = F.col(f"`{f.name}`")
-        if isinstance(f.dataType, (T.NumericType, T.BooleanType)):
-            c = F.round(c.cast("double"), DIGITS) + F.lit(0.0)  # no negative zero
-        out.append(c.cast("string").alias(f"c{i}"))
+        out.append(spelled(c, f.dataType).alias(f"c{i}"))
     return df.toDF(*[f.name for f in df.schema.fields]).select(*out)
 
 
+def plain(text: Column) -> Column:
+    """A decimal's text without trailing zeros."""
+    return F.when(F.contains(text, F.lit(".")), F.regexp_replace(text, r"\.?0+$", "")).otherwise(text)
+
+
+def spelled(c: Column, kind: T.DataType) -> Column:
+    """The one text of a cell: 1, 1.0 and DECIMAL 1.00 are the same, 2**53 and 2**53 + 1 are not."""
+    if isinstance(kind, T.BooleanType):
+        return c.cast("int").cast("string")
+    if isinstance(kind, (T.FloatType, T.DoubleType)):
+        rounded = F.round(c.cast("double"), DIGITS) + F.lit(0.0)  # no negative zero
+        inside = F.abs(rounded) < F.lit(1e15)
+        return F.when(inside, plain(rounded.cast(f"decimal(38,{DIGITS})").cast("string"))).otherwise(rounded.cast("string"))
+    if isinstance(kind, T.DecimalType):
+        return plain(c.cast("string"))
+    return c.cast("string")
+
+
 def exact(a: DataFrame, b: DataFrame, bag: bool = True) -> bool:
     """Equal as multisets (bag) or as sets: one signed count over all columns, one exchange."""
     if len(a.columns) != len(b.columns):
@@ -89,13 +106,14 @@ def tables_of(node) -> set[str]:
     return found - own
 
 
-def batch(spark: SparkSession, pairs: list[tuple[str, str, str]], allowed: set[str] | None = None, threads: int = 8, row_cap: int = 1_000_000) -> DataFrame:
-    """pair_id, ex, error_class for (pair_id, agent SQL, gold SQL): each distinct text is run once, as a fingerprint."""
+def batch(spark: SparkSession, pairs: list[tuple[str, str, str]], allowed: set[str] | None = None, threads: int = 8) -> DataFrame:
+    """pair_id, ex, error_class for (pair_id, agent SQL, gold SQL): each distinct text is run once, as a fingerprint, which
+    is one row however large the result. The list of pairs lives on the driver: for more queries than a driver holds, see family()."""
 
     def run(query: str):
         try:
             gate(query, allowed)
-            df = spark.sql(query).limit(row_cap)
+            df = spark.sql(query)
             return (len(df.columns), *fingerprint(df)), None
         except Exception as e:  # noqa: BLE001  any failure of an agent's query is a mismatch with a class
             return None, type(e).__name__

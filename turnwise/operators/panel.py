@@ -6,11 +6,18 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
+RULES = ("unanimous", "majority", "any")
+
+
+def rule_of(rule: str) -> Column:
+    """The test of a rule over n votes of which n_good are good."""
+    return {"unanimous": F.col("n_good") == F.col("n"), "majority": F.col("n_good") * 2 > F.col("n"), "any": F.col("n_good") > 0}[rule]
+
+
 def consensus(votes: DataFrame, key: str, good: Column, rule: str = "unanimous") -> DataFrame:
     """key, n, n_good, accepted under a rule: unanimous, majority or any."""
     out = votes.groupBy(key).agg(F.count("*").alias("n"), F.count_if(good).alias("n_good"))
-    test = {"unanimous": F.col("n_good") == F.col("n"), "majority": F.col("n_good") * 2 > F.col("n"), "any": F.col("n_good") > 0}[rule]
-    return out.withColumn("accepted", test)
+    return out.withColumn("accepted", rule_of(rule))
 
 
 def agreement(votes: DataFrame, key: str, verdict: str, by: list[str] = ()) -> DataFrame:

@@ -208,6 +208,27 @@ def size_classes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return c.select("sample_type", *[r6(F.col(x)).alias(x) for x in ("large", "small", "difference")])
 
 
+def subtype_extremes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """For how many agents each subtype is the easiest, and the hardest."""
+    e = analysis.extremes(analysis.subtype_profile(trajectories(spark, sf_dir)))
+    return e.select("subtype", F.col("easiest_for").cast("long").alias("easiest_for"), F.col("hardest_for").cast("long").alias("hardest_for"))
+
+
+def ask_correlation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return analysis.ask_correlation(trajectories(spark, sf_dir)).select(r6(F.col("correlation")).alias("correlation"))
+
+
+def dea_intervals(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Accuracy with its 95 % score interval."""
+    m = metrics.dea(trajectories(spark, sf_dir), ["agent", "sample_type"]).withColumn("w", analysis.wilson(F.col("num"), F.col("den")))
+    return m.select("agent", "sample_type", r6(F.col("w.low")).alias("low"), r6(F.col("w.high")).alias("high"))
+
+
+def failure_phi(spark: SparkSession, sf_dir: str) -> DataFrame:
+    o = analysis.failure_overlap(trajectories(spark, sf_dir))
+    return o.select("agent", r6(F.col("phi")).alias("phi"))
+
+
 _VALUES = ", ".join(f"({', '.join([repr(a[0]), *map(str, a[1:])])})" for a in AGENTS)
 
 
@@ -250,7 +271,7 @@ QUERIES = {
     f.__name__: f
     for f in (
         ex_family, dea_table, dea_marks, dea_spread, dea_ordering, ask_rate, ask_selectivity, layer_contrast, drift_recognition, recognition_gap, dra_by_subtype, joint_transition,
-        joint_excess, failure_overlap, plain_execution, per_turn_ambiguity, pre_post_match, threshold_counts, size_classes,
+        joint_excess, failure_overlap, plain_execution, per_turn_ambiguity, pre_post_match, threshold_counts, size_classes, subtype_extremes, ask_correlation, dea_intervals, failure_phi,
     )
 }
 ORACLES = {
@@ -277,5 +298,13 @@ ORACLES = {
         SELECT agent, 'jir' AS metric, 0.05::DOUBLE AS level, avg(CASE WHEN sample_type <> 'D' THEN CAST(hit1 AND hit2 AS INT) END) AS value FROM z GROUP BY agent
         UNION ALL SELECT agent, 'drr', 0.949::DOUBLE, avg(CASE WHEN sample_type <> 'C' THEN CAST(rec AS INT) END) FROM z GROUP BY agent
         UNION ALL SELECT agent, 'dea', 0.46::DOUBLE, avg(CAST(ok AS INT)) FROM z GROUP BY agent) y) q GROUP BY metric, level""",
+    "subtype_extremes": _B + f"""SELECT subtype, CAST(sum(e) AS BIGINT) AS easiest_for, CAST(sum(h) AS BIGINT) AS hardest_for FROM (
+      SELECT subtype, CAST(row_number() OVER (PARTITION BY agent ORDER BY v DESC, subtype DESC) = 1 AS INT) AS e, CAST(row_number() OVER (PARTITION BY agent ORDER BY v, subtype) = 1 AS INT) AS h
+      FROM (SELECT subtype, agent, {_avg('(rec AND ex2)')} AS v FROM z WHERE sample_type = 'D' GROUP BY subtype, agent) y) q GROUP BY subtype HAVING sum(e) + sum(h) > 0""",
+    "ask_correlation": _B + f"SELECT round(corr(ar, jir), 6) AS correlation FROM (SELECT agent, {_avg('asked')} AS ar, {_avg('(hit1 AND hit2)')} AS jir FROM z WHERE sample_type = 'C' GROUP BY agent) y",
+    "dea_intervals": _B + """SELECT agent, sample_type, round((p + 1.96 * 1.96 / (2 * n) - 1.96 * sqrt(p * (1 - p) / n + 1.96 * 1.96 / (4 * n * n))) / (1 + 1.96 * 1.96 / n), 6) AS low,
+      round((p + 1.96 * 1.96 / (2 * n) + 1.96 * sqrt(p * (1 - p) / n + 1.96 * 1.96 / (4 * n * n))) / (1 + 1.96 * 1.96 / n), 6) AS high
+      FROM (SELECT agent, sample_type, CAST(count(*) AS DOUBLE) AS n, avg(CAST(ok AS DOUBLE)) AS p FROM z GROUP BY agent, sample_type) y""",
+    "failure_phi": _B + f"SELECT agent, round(CASE WHEN isnan(c) THEN NULL ELSE c END, 6) AS phi FROM (SELECT agent, CASE WHEN stddev_pop(dea_C) = 0 OR stddev_pop(dea_D) = 0 THEN NULL ELSE corr(1 - dea_C, 1 - dea_D) END AS c FROM {_PAIR} GROUP BY agent) q",
     "size_classes": _B + "SELECT sample_type, round(l, 6) AS large, round(s, 6) AS small, round(l - s, 6) AS difference FROM (SELECT sample_type, avg(CASE WHEN agent IN ('gold', 'steady') THEN dea END) AS l, avg(CASE WHEN agent NOT IN ('gold', 'steady') THEN dea END) AS s FROM d GROUP BY sample_type) y",
 }

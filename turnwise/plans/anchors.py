@@ -1,4 +1,4 @@
-"""Anchor pool, stratified pick, construction funnel, triplets and their statistics, built on the given tables.
+"""Anchor pool and stratified pick, built on the given tables.
 
 An anchor is a (segment, priority, status, year) combination that the orders hold.
 """
@@ -7,12 +7,10 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from ..functions import drift
-from ..operators import construct, sampling, validate
+from ..operators import construct, sampling
 from ..sources.io import table
-from .common import luck, luck_sql
 
 PARAMETERS = ["segment", "priority", "status", "year"]
 
@@ -35,9 +33,9 @@ def anchors(spark: SparkSession, sf_dir: str) -> DataFrame:
     pool = facts(spark, sf_dir).groupBy(*PARAMETERS).agg(F.count("*").alias("n_lines"))
     named = pool.withColumn("anchor_key", key_of())
     tier = F.when(F.col("priority").isin("1-URGENT", "2-HIGH"), "advanced").when(F.col("priority") == "5-LOW", "basic").otherwise("intermediate")
-    number = F.row_number().over(Window.orderBy(F.md5("anchor_key"), "anchor_key")) - 1  # one row an anchor: the parameters' combinations
-    subtype = F.get(F.array(F.lit(drift.VALUE), F.lit(drift.CONSTRAINT), F.lit(drift.PROJECTION)), number % 3)
-    return named.withColumn("tier", tier).withColumn("split", F.when(F.col("year") % 2 == 0, "dev").otherwise("train")).withColumn("subtype", subtype)
+    named = named.withColumn("tier", tier).withColumn("split", F.when(F.col("year") % 2 == 0, "dev").otherwise("train"))
+    items = F.array(*[drift.item("FILTER", f"{p} = ?", F.col(p)) for p in PARAMETERS], drift.item("PROJECT", "l_returnflag"))
+    return construct.assign_subtype(named.withColumn("items", items), "items", "anchor_key").drop("items")
 
 
 def anchor_catalogue(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -57,59 +55,6 @@ def anchor_subtypes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return anchors(spark, sf_dir).select("anchor_key", "subtype")
 
 
-def judged(spark: SparkSession, sf_dir: str) -> DataFrame:
-    a = anchors(spark, sf_dir)
-    for name, salt in (("j1", "judge one"), ("j2", "judge two"), ("v1", "cross one"), ("v2", "cross two")):
-        a = a.withColumn(name, luck(salt, F.col("anchor_key")) < 9200)
-    return a.withColumn("different", F.col("n_lines") % 7 != 0).withColumn("in_scope", luck("scope", F.col("anchor_key")) < 9000)
-
-
-#: The construction stages, in order, as SQL over judged().
-_STAGES = {"executable": "n_lines > 0", "chain_judges": "j1 AND j2", "result_distinct": "different", "subtype_scope": "in_scope", "cross_validation": "v1 AND v2"}
-
-
-def pipeline_funnel(spark: SparkSession, sf_dir: str) -> DataFrame:
-    f = construct.funnel(judged(spark, sf_dir), {name: F.expr(test) for name, test in _STAGES.items()})
-    return f.select("stage", "entered", "kept", F.round("rate", 6).alias("rate"), F.round("cumulative", 6).alias("cumulative"))
-
-
-def survivors(spark: SparkSession, sf_dir: str) -> DataFrame:
-    ok = F.expr(" AND ".join(f"({test})" for test in _STAGES.values()))
-    verdict = F.when(luck("verdict", F.col("anchor_key")) < 4940, "eliminated").otherwise("transformed")
-    return judged(spark, sf_dir).filter(ok).withColumn("verdict", verdict)
-
-
-def samples(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Triplets of the survivors: their chain and drift branches joined again, then expanded."""
-    s = survivors(spark, sf_dir)
-    chains, drifts = s.select("anchor_key", "verdict", "tier"), s.select("anchor_key", "subtype")
-    return construct.assemble(chains, drifts, "anchor_key")
-
-
-def triplets(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return samples(spark, sf_dir).select("anchor_key", "sample_type", F.col("n_targets").cast("int").alias("n_targets"))
-
-
-def _with_queries(s: DataFrame) -> DataFrame:
-    return s.withColumn("pre", F.concat(F.lit("pre of "), "anchor_key")).withColumn("post", F.concat(F.lit("post of "), "anchor_key"))
-
-
-def triplet_violations(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return validate.triplets(_with_queries(samples(spark, sf_dir)))
-
-
-def triplet_violations_planted(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """One kind of damage by the year of the anchor: a lost sample, or another post query in the joint one."""
-    s = _with_queries(samples(spark, sf_dir)).withColumn("year", F.element_at(F.split("anchor_key", "/"), -1).cast("int"))
-    joint = F.col("sample_type") == "J"
-    s = s.filter(~((F.col("year") == 1996) & joint)).withColumn("post", F.when((F.col("year") == 1997) & joint, "changed").otherwise(F.col("post")))
-    return validate.triplets(s)
-
-
-def dataset_shares(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return construct.shares(survivors(spark, sf_dir), ["subtype", "verdict", "tier"]).withColumn("share", F.round("share", 6))
-
-
 _A = """
 WITH f AS (SELECT c_mktsegment AS segment, o_orderpriority AS priority, o_orderstatus AS status, CAST(year(o_orderdate) AS INT) AS year, l_returnflag, CAST(round(l_extendedprice * 100) AS BIGINT) AS cents
   FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey),
@@ -118,17 +63,9 @@ a AS (SELECT *, CASE WHEN priority IN ('1-URGENT', '2-HIGH') THEN 'advanced' WHE
   CASE WHEN year % 2 = 0 THEN 'dev' ELSE 'train' END AS split,
   CASE (row_number() OVER (ORDER BY md5(anchor_key), anchor_key) - 1) % 3 WHEN 0 THEN 'value' WHEN 1 THEN 'constraint' ELSE 'projection' END AS subtype FROM a0)
 """
-_J = f"""{_A},
-j AS (SELECT *, {luck_sql("'judge one'", 'anchor_key')} < 9200 AND {luck_sql("'judge two'", 'anchor_key')} < 9200 AS s2, n_lines % 7 <> 0 AS s3, {luck_sql("'scope'", 'anchor_key')} < 9000 AS s4,
-  {luck_sql("'cross one'", 'anchor_key')} < 9200 AND {luck_sql("'cross two'", 'anchor_key')} < 9200 AS s5,
-  CASE WHEN {luck_sql("'verdict'", 'anchor_key')} < 4940 THEN 'eliminated' ELSE 'transformed' END AS verdict FROM a),
-k AS (SELECT * FROM j WHERE s2 AND s3 AND s4 AND s5)
-"""
-_N = ["count(*)", "count(*)", "count_if(s2)", "count_if(s2 AND s3)", "count_if(s2 AND s3 AND s4)", "count_if(s2 AND s3 AND s4 AND s5)"]
-
 QUERIES = {
     f.__name__: f
-    for f in (anchor_catalogue, anchor_stratified, anchor_allotted, anchor_subtypes, pipeline_funnel, triplets, triplet_violations, triplet_violations_planted, dataset_shares)
+    for f in (anchor_catalogue, anchor_stratified, anchor_allotted, anchor_subtypes)
 }
 ORACLES = {
     "anchor_catalogue": _A + "SELECT segment, priority, status, year, n_lines FROM a",
@@ -137,13 +74,4 @@ ORACLES = {
     + """SELECT tier, split, least(n, CAST(base AS BIGINT) + CASE WHEN row_number() OVER (ORDER BY exact - base DESC, tier, split) <= 100 - sum(base) OVER () THEN 1 ELSE 0 END) AS n
     FROM (SELECT tier, split, n, 100.0 * n / sum(n) OVER () AS exact, floor(100.0 * n / sum(n) OVER ()) AS base FROM (SELECT tier, split, count(*) AS n FROM a GROUP BY tier, split) x) y""",
     "anchor_subtypes": _A + "SELECT anchor_key, subtype FROM a",
-    "pipeline_funnel": _J
-    + " UNION ALL ".join(
-        f"SELECT '{s}' AS stage, {_N[i]} AS entered, {_N[i + 1]} AS kept, round({_N[i + 1]} * 1.0 / {_N[i]}, 6) AS rate, round({_N[i + 1]} * 1.0 / count(*), 6) AS cumulative FROM j" for i, s in enumerate(_STAGES)
-    ),
-    "triplets": _J + "SELECT anchor_key, t AS sample_type, CASE WHEN t = 'C' THEN 1 ELSE 2 END AS n_targets FROM k, (SELECT unnest(['C', 'D', 'J']) AS t) y",
-    "triplet_violations": _J + "SELECT anchor_key, 'types' AS reason FROM k WHERE false",
-    "triplet_violations_planted": _J + "SELECT anchor_key, CASE WHEN year = 1996 THEN 'types' ELSE 'post' END AS reason FROM k WHERE year IN (1996, 1997)",
-    "dataset_shares": _J
-    + " UNION ALL ".join(f"SELECT '{c}' AS dimension, {c} AS level, count(*) AS n, round(count(*) * 1.0 / (SELECT count(*) FROM k), 6) AS share FROM k GROUP BY {c}" for c in ("subtype", "verdict", "tier")),
 }

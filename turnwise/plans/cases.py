@@ -55,8 +55,8 @@ def scored_runs(spark: SparkSession, sf_dir: str) -> DataFrame:
     folded = trajectory.fold(trajectory.with_drift_turn(turns))
     parts = F.split("run_id", r"\|")
     runs = folded.select("run_id", F.get(parts, F.lit(1)).alias("sample_type"), F.get(parts, F.lit(2)).alias("agent"), F.get(parts, F.lit(3)).alias("protocol"), "asked", "rho", "sql_pre", "sql_post")
-    texts = runs.select(F.explode(F.array("sql_pre", "sql_post")).alias("q")).dropna().distinct().limit(1000)
-    queries = sorted(r[0] for r in texts.collect())  # the case's handful of distinct queries
+    texts = runs.select(F.explode(F.array("sql_pre", "sql_post")).alias("q")).dropna().distinct()
+    queries = sorted(r[0] for r in texts.collect())  # bounded by agents x samples x 2, as the samples are three
     ex = execmatch.batch(spark, [(f"{q}#{name}", q, g) for q in queries for name, g in (("pre", GOLD), ("post", GOLD_POST))], {"case_orders"})
     ex = ex.select(F.split("pair_id", "#").alias("p"), "ex").select(F.get("p", F.lit(0)).alias("q"), F.get("p", F.lit(1)).alias("side"), "ex")
     side = lambda s: ex.filter(F.col("side") == s).select(F.col("q").alias(f"sql_{s}"), F.col("ex").alias(f"ex_{s}"))
@@ -77,6 +77,14 @@ def scripted_metrics(spark: SparkSession, sf_dir: str) -> DataFrame:
     return m.select("agent", "sample_type", "metric", "num", "den", r6(F.col("value")).alias("value"))
 
 
+MEASURES = ("dea", "ar", "l1_ir", "l2_ir_p", "jir", "drr", "dra")
+
+
+def scripted_closed_form(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The seven measures of the harness's runs, for comparison with what each agent's behaviour implies."""
+    return scripted_metrics(spark, sf_dir).filter(F.col("metric").isin(*MEASURES))
+
+
 def case_trace(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The stages of the Joint run that inherits its chain error: first layer met, second missed, drift noticed, both queries wrong."""
     t = scored_runs(spark, sf_dir).filter("agent = 'inherit_chain_error' AND sample_type = 'J' AND protocol = 'f'")
@@ -92,18 +100,48 @@ def ex_exact(spark: SparkSession, sf_dir: str) -> DataFrame:
         "same": (some, some.orderBy("l_quantity")), "renamed": (some, some.toDF("a", "b", "c")), "swapped": (some, some.select("l_linestatus", "l_returnflag", "l_quantity")),
         "duplicated": (some.distinct(), some), "fewer_columns": (some, some.drop("l_quantity")), "both_empty": (some.filter("false"), some.filter("l_quantity > 1000")),
         "noise": (some, some.withColumn("l_quantity", F.col("l_quantity") + F.lit(1e-12))), "filtered": (some, some.filter("l_quantity > 46")),
+        "large_integers": (some.withColumn("k", F.lit(9007199254740992)), some.withColumn("k", F.lit(9007199254740993))), "decimals": (some, some.withColumn("l_quantity", F.col("l_quantity").cast("decimal(12,3)"))),
     }
     rows = [(n, int(execmatch.exact(a, b)), int(execmatch.exact(a, b, bag=False)), int(execmatch.same_fingerprint(a, b))) for n, (a, b) in pairs.items()]
     return spark.createDataFrame(rows, "pair string, ex_bag int, ex_set int, ex_fingerprint int")
 
 
+def _closed_form() -> str:
+    """Every measure of every scripted agent on one sample of each type, from what the agent is known to do."""
+    asks = {"gold": (1, 1, 1), "ask_both": (1, 1, 1), "ask_l1_only": (1, 1, 0), "inherit_chain_error": (1, 1, 0), "ask_everything": (1, 0, 0)}  # chained types: asked, first layer, second layer
+    pre = {"gold": "CDJ", "ask_both": "CDJ", "accumulate": "CDJ", "ignore_drift": "CDJ", "wipe_filters": "CDJ", "wrong_target": "CDJ", "broken_sql": ""}  # types with the right first query; the others: D alone
+    post = {"gold": "DJ", "ask_both": "DJ", "accumulate": "", "ignore_drift": "", "wipe_filters": "", "wrong_target": "", "broken_sql": ""}  # and the right last one; the others: D alone
+    rec = {"accumulate": "", "ignore_drift": "", "broken_sql": ""}  # notices the withdrawal; the others: both
+    rows = []
+    for a in agents.SCRIPTED:
+        asked, one, two = asks.get(a, (0, 0, 0))
+        for ty in "CDJ":
+            first, last, seen = ty in pre.get(a, "D"), ty in post.get(a, "D"), ty in rec.get(a, "DJ")
+            rows.append((a, ty, "dea", int(first and (ty == "C" or last))))
+            rows.append((a, ty, "ar", asked if ty != "D" or a == "ask_everything" else 0))
+            rows += [(a, ty, "l1_ir", one), (a, ty, "l2_ir_p", two), (a, ty, "jir", int(one and two))] if ty != "D" else []
+            rows += [(a, ty, "drr", int(seen)), (a, ty, "dra", int(seen and last))] if ty != "C" else []
+    values = ", ".join(f"('{a}', '{ty}', '{m}', {n})" for a, ty, m, n in rows)
+    return f"SELECT agent, sample_type, metric, CAST(n AS BIGINT) AS num, CAST(1 AS BIGINT) AS den, CAST(n AS DOUBLE) AS value FROM (VALUES {values}) AS t(agent, sample_type, metric, n)"
+
+
 _G = """
 WITH g AS (SELECT o_orderkey, year(o_orderdate) AS y, sum(CAST(round(l_discount * 100) AS BIGINT)) AS s, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY o_orderkey, year(o_orderdate))
 """
-QUERIES = {f.__name__: f for f in (case_gold_pre, case_gold_post, case_trace, scripted_metrics, ex_exact)}
+QUERIES = {f.__name__: f for f in (case_gold_pre, case_gold_post, case_trace, scripted_metrics, scripted_closed_form, ex_exact)}
 ORACLES = {
     "case_gold_pre": _G + "SELECT o_orderkey AS order_key FROM g WHERE s > 7 * n AND y BETWEEN 1996 AND 1997",
     "case_gold_post": _G + "SELECT o_orderkey AS order_key FROM g WHERE s > 7 * n",
+    "scripted_closed_form": _closed_form(),
     "case_trace": "SELECT * FROM (VALUES ('first_layer', 1), ('second_layer', 0), ('pre_ex', 0), ('recognised', 1), ('post_ex', 0), ('inherited_error', 1)) AS t(step, flag)",
-    "ex_exact": "SELECT * FROM (VALUES ('same', 1, 1, 1), ('renamed', 1, 1, 1), ('swapped', 0, 0, 0), ('duplicated', 0, 1, 0), ('fewer_columns', 0, 0, 0), ('both_empty', 1, 1, 1), ('noise', 1, 1, 1), ('filtered', 0, 0, 0)) AS t(pair, ex_bag, ex_set, ex_fingerprint)",
+    "ex_exact": """WITH src AS (SELECT l_returnflag AS a, l_linestatus AS b, l_quantity AS c FROM lineitem WHERE l_quantity > 45),
+      one AS (SELECT a, b, c, 0::BIGINT AS k FROM src), d AS (SELECT DISTINCT a, b, c, k FROM one), o AS (SELECT b AS a, a AS b, c, k FROM one), f AS (SELECT * FROM one WHERE c > 46),
+      l AS (SELECT a, b, c, 9007199254740992::BIGINT AS k FROM src), m AS (SELECT a, b, c, 9007199254740993::BIGINT AS k FROM src),
+      n(pair, bag_out, bag_in, set_out, set_in) AS ("""
+    + " UNION ALL ".join(
+        f"SELECT '{n}', (SELECT count(*) FROM (SELECT * FROM {x} EXCEPT ALL SELECT * FROM {y}) p), (SELECT count(*) FROM (SELECT * FROM {y} EXCEPT ALL SELECT * FROM {x}) p), (SELECT count(*) FROM (SELECT * FROM {x} EXCEPT SELECT * FROM {y}) p), (SELECT count(*) FROM (SELECT * FROM {y} EXCEPT SELECT * FROM {x}) p)"
+        for n, x, y in (("same", "one", "one"), ("renamed", "one", "one"), ("swapped", "one", "o"), ("duplicated", "d", "one"), ("noise", "one", "one"), ("filtered", "one", "f"), ("large_integers", "l", "m"), ("decimals", "one", "one"))
+    )
+    + """) SELECT pair, CAST(bag_out + bag_in = 0 AS INT) AS ex_bag, CAST(set_out + set_in = 0 AS INT) AS ex_set, CAST(bag_out + bag_in = 0 AS INT) AS ex_fingerprint FROM n
+      UNION ALL SELECT 'fewer_columns', 0, 0, 0 UNION ALL SELECT 'both_empty', 1, 1, 1""",
 }

@@ -13,12 +13,24 @@ from .common import luck, luck_sql, r6
 from .drift_log import TIES
 
 
+def layer_terms(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """part_key, needs, supplies: what the second layer needs, and what the first one's other reading supplies.
+
+    The next part is found within ranges of keys; only each range's last part asks for the first one of a later range,
+    which a join of one row a range answers. No task sees the whole list.
+    """
+    p = table(spark, sf_dir, "part").select("p_partkey", "p_name").repartitionByRange("p_partkey").withColumn("range", F.spark_partition_id())
+    here = p.withColumn("following", F.lead("p_name").over(Window.partitionBy("range").orderBy("p_partkey")))
+    firsts = p.groupBy("range").agg(F.min_by("p_name", "p_partkey").alias("name"))  # one row a range
+    after = firsts.withColumn("at", F.col("range")).select("at", "name")
+    nexts = firsts.select("range").join(F.broadcast(after), F.col("at") > F.col("range")).groupBy("range").agg(F.min_by("name", "at").alias("next_name"))
+    pairs = here.join(F.broadcast(nexts), "range", "left").withColumn("following", F.coalesce("following", "next_name")).filter("following IS NOT NULL")
+    return pairs.select(F.col("p_partkey").alias("part_key"), chain.terms(F.col("p_name")).alias("needs"), chain.terms(F.col("following")).alias("supplies"))
+
+
 def chains(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Consecutive parts: the second layer needs the words of one name, the other reading supplies those of the next."""
-    p = table(spark, sf_dir, "part").select("p_partkey", "p_name")
-    following = F.lead("p_name").over(Window.partitionBy(F.lit(0)).orderBy("p_partkey"))  # the part catalogue as one list
-    pairs = p.select(F.col("p_partkey").alias("part_key"), chain.terms(F.col("p_name")).alias("needs"), chain.terms(following).alias("supplies"), following.isNotNull().alias("has_next"))
-    return pairs.filter("has_next").select("part_key", chain.counterfactual(F.col("needs"), F.col("supplies")).alias("verdict"))
+    return layer_terms(spark, sf_dir).select("part_key", chain.counterfactual(F.col("needs"), F.col("supplies")).alias("verdict"))
 
 
 def chain_verdict(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -43,8 +55,9 @@ def judge_agreement(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def judge_consensus(spark: SparkSession, sf_dir: str) -> DataFrame:
     v = judge_votes(spark, sf_dir)
-    parts = [panel.consensus(v, "candidate", chain.qualifies(F.col("verdict")), rule).agg(F.count_if("accepted").alias("n")).select(F.lit(rule).alias("rule"), "n") for rule in ("unanimous", "majority", "any")]
-    return parts[0].unionByName(parts[1]).unionByName(parts[2])
+    one = panel.consensus(v, "candidate", chain.qualifies(F.col("verdict")))  # one aggregate serves the three rules
+    counts = one.agg(*[F.count_if(panel.rule_of(rule)).alias(rule) for rule in panel.RULES])
+    return counts.select(F.inline(F.array(*[F.struct(F.lit(rule).alias("rule"), F.col(rule).alias("n")) for rule in panel.RULES])))
 
 
 def label_agreement(spark: SparkSession, sf_dir: str) -> DataFrame:
