@@ -4,11 +4,12 @@ Many voters (lexicon voters that each own some learned words or word beginnings,
 shape of a text) vote on a bounded sample. A generative label model estimates each voter's class-conditional
 accuracies by expectation maximisation, and how correlated voters are given the class; correlated voters count
 less. Its posteriors are the labels on which a linear (logistic) classifier is trained, which scores every
-whole text. Labels of the folds that may be learned from choose the lexicon and start the label model; they
-are never a feature.
+whole text. Labels of the folds that may be learned from choose the lexicon, start the label model and hold it, for
+every round begins half way between its posterior and the labels; at the end they set the score's scale and shift.
+They are never a feature. So the model is one of labelled rows: fitted on votes alone it found half of the toxic rows.
 
-Bounds of what is learned from: SAMPLE_ROWS labelled rows drawn by a hash of the id, TERMS lexicon entries.
-Counts of words over the sample are taken on the executors.
+Bounds of what is learned from: SAMPLE_ROWS labelled rows drawn by a hash of the id (of a repeated id one row),
+TERMS lexicon entries. Counts of words over the sample are taken on the executors.
 
 Defined cases: null and empty texts get the score of a text without any feature; without labels of both classes
 every score is 0; repeated rows are scored alike; texts are read whole whatever their length; other columns
@@ -93,19 +94,22 @@ def labelled(docs: DataFrame, labels: DataFrame, key: str, text: str, label: str
     known = labels.select(F.col(key).alias("_id"), F.col(label).alias("y")).filter(F.col("y").isin(0, 1) & F.col("_id").isNotNull() & ~held_out(F.col("_id"))).groupBy("_id").agg(F.max("y").alias("y"))
     share = min(1.0, SAMPLE_ROWS / max(known.count(), 1))
     drawn = F.pmod(F.xxhash64(F.lit("draw"), F.col("_id")), F.lit(1 << 30)) < int(share * (1 << 30))
-    return docs.select(F.col(key).alias("_id"), F.coalesce(F.col(text), F.lit("")).alias("text")).join(F.broadcast(known.filter(drawn)), "_id").select("_id", "text", F.col("y").cast("int").alias("y"))
+    rows = docs.select(F.col(key).alias("_id"), F.coalesce(F.col(text), F.lit("")).alias("text")).join(F.broadcast(known.filter(drawn)), "_id")
+    return rows.groupBy("_id").agg(F.min("text").alias("text"), F.first("y").cast("int").alias("y"))  # the join is bounded by ids, this by rows
 
 
 def copies_weighed(rows: DataFrame) -> DataFrame:
-    """rows with a weight: 1 over the number of sample rows that seem copies of one text (they share a min-hash of five-word runs)."""
+    """rows with a weight: 1 over the number of sample rows that seem copies of one text: they share a whole band of BAND
+    min-hashes of five-word runs, as near copies nearly always do and texts with a passage in common hardly ever."""
     import pandas as pd
 
     def sketch(column):
         out = []
         for text in column:
             words = text.lower().split()
-            grams = [hash_of(" ".join(words[k : k + 5])) for k in range(max(1, len(words) - 4))]
-            out.append([min(g ^ salt for g in grams) for salt in SALTS])
+            grams = np.array([hash_of(" ".join(words[k : k + 5])) for k in range(max(1, len(words) - 4))], dtype=np.uint64)
+            least = np.array([(grams * m).min() for m in MULTIPLIERS], dtype=np.uint64).reshape(-1, BAND)
+            out.append([hash_of(band.tobytes().hex()) for band in least])
         return pd.Series(out, dtype=object)
 
     sketch.__annotations__ = {"column": pd.Series, "return": pd.Series}
@@ -121,7 +125,9 @@ def copies_weighed(rows: DataFrame) -> DataFrame:
     return rows.withColumn("w", F.pandas_udf(weight, "double")("_id"))
 
 
-SALTS = (0x1234567, 0x5A5A5A5A5A5A5A, 0x3C3C3C3C3C3C3C3C, 0x0F1E2D3C4B5A6978)
+BAND = 3
+#: Four bands of odd numbers.
+MULTIPLIERS = np.random.default_rng(11).integers(1, 2**63, 4 * BAND, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
 
 def hash_of(text: str) -> int:
@@ -179,7 +185,7 @@ def lexicon(rows: DataFrame) -> tuple[list[str], np.ndarray]:
 
 
 class LabelModel:
-    """Voters with class-conditional vote rates, estimated by expectation maximisation from unlabelled votes."""
+    """Voters with class-conditional vote rates, estimated by expectation maximisation that the labels hold."""
 
     def fit(self, votes: np.ndarray, start: np.ndarray, w: np.ndarray, rounds: int = 25) -> np.ndarray:
         """votes: 0/1 per row and voter; start: first guess of the posterior. Returns the posterior."""
