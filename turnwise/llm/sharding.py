@@ -2,7 +2,7 @@
 
 Items are placed where the dot product of their vector with the residual capacity is highest. Groups of
 equal text are never sent anywhere as rows: a hash deals them to a fixed number of packets, and a group that
-weighs more than a small part of a shard is cut into chunks, so the placed items are at most PACKETS +
+weighs more than a small part of a shard is cut into chunks by row, whatever its ids, so the placed items are at most PACKETS +
 2 * shards * HEAVY_PARTS + chunks, whatever the input. That bounded table of vectors is placed on the driver
 and broadcast back; rows move once, to be numbered inside their packet.
 
@@ -98,6 +98,7 @@ def assign_shards(docs: DataFrame, shards: int = 40, key: str = "doc_id", text:
             F.crc32(body.cast("binary")).alias("text_crc32"),
             (F.length(body) - F.length(F.translate(body, " \n\t\r", "")) + 1).cast("long").alias("tokens"),
             F.xxhash64(body).alias("_group"),
+            F.monotonically_increasing_id().alias("_row"),
         )
     )
     sums = [F.sum("size").alias("size"), F.sum("tokens").alias("tokens"), F.count("*").alias("rows")]
@@ -108,7 +109,7 @@ def assign_shards(docs: DataFrame, shards: int = 40, key: str = "doc_id", text:
     heavy = rows.groupBy("_group").agg(*sums).filter((F.col("size") > most) & (F.col("rows") > 1))
     heavy = heavy.select("_group", F.least(F.col("rows"), F.ceil(F.col("size") / F.lit(most)) * 4).cast("int").alias("_chunks"))
     packet = F.pmod(F.col("_group"), F.lit(PACKETS)).cast("long")
-    chunk = F.pmod(F.xxhash64("_id"), F.col("_chunks").cast("long"))
+    chunk = F.pmod(F.xxhash64("_row"), F.col("_chunks").cast("long"))
     item = F.when(F.col("_chunks").isNull(), F.struct(F.lit(None).cast("long").alias("g"), packet.alias("k"))).otherwise(F.struct(F.col("_group").alias("g"), chunk.alias("k")))
     dealt = cut(rows.join(F.broadcast(heavy), "_group", "left").select("_id", "size", "text_crc32", "tokens", item.alias("_item")))
     # Bounded: PACKETS and the chunks of the heavy groups. Not through pandas, which would make floats of the ids.
