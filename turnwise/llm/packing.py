@@ -254,7 +254,7 @@ def pack(lengths: list[int], capacity: int = CAPACITY) -> tuple[list[int], list[
 def pack_documents(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, end_id: int = END_ID, key: str = "doc_id", text: str = "text") -> DataFrame:
     """One row per piece: doc_id, piece, start, length, ids_crc32, sequence_id, offset."""
     cells = max(1, math.ceil(docs.count() / CELL_DOCS))
-    cut = pieces(docs, tokenizer, capacity, end_id, key, text).withColumn("cell", F.pmod(F.xxhash64("doc_id", "piece"), F.lit(cells)))
+    cut = pieces(docs, tokenizer, capacity, end_id, key, text).withColumn("cell", F.pmod(F.xxhash64("doc_id", "piece", F.monotonically_increasing_id()), F.lit(cells)))  # by row: many rows may share an id
 
     def packed(cell: pa.Table) -> pa.Table:
         # a fixed order, so that a repeated task gives the same bins
