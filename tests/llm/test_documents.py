@@ -3,6 +3,7 @@
 import hashlib
 import itertools
 import re
+import textwrap
 import zlib
 
 import numpy as np
@@ -189,6 +190,9 @@ def test_sharding(spark, small, odd, nothing):
             assert sorted(g["slot"]) == list(range(len(g)))
     got = sharding.assign_shards(hot, 7).toPandas().groupby("shard")["size"].sum()
     assert len(got) == 7 and got.max() / got.min() < 1.02
+    nobody = docs.unionByName(spark.range(300).select(F.lit(None).cast("long").alias("doc_id"), F.lit("copy " * 400).alias("text")), allowMissingColumns=True)
+    sizes = sharding.assign_shards(nobody, 7).toPandas().groupby("shard")["size"].sum()  # one text without an id holds most bytes
+    assert len(sizes) == 7 and sizes.max() / sizes.min() < 1.02
     crc = {r.doc_id: (r.text_crc32, r["size"]) for r in sharding.assign_shards(docs).collect()}
     assert all(crc[r.doc_id] == (zlib.crc32(r.text.encode()), len(r.text.encode()) + 16) for r in docs.collect())
     assert sharding.assign_shards(nothing).collect() == []
@@ -240,6 +244,21 @@ def test_packing(spark, small, odd, nothing):
     assert packing.pack_documents(nothing, path).collect() == []
 
 
+def test_packing_spreads_one_id(spark, monkeypatch):
+    """Rows without an id, and copies of one row, go to all cells."""
+    monkeypatch.setattr(packing, "CELL_DOCS", 50)
+    path = queries.tokenizer_path("word_bpe_49k.json")
+    from tokenizers import Tokenizer
+
+    docs = [(None, "the same words again")] * 300 + [(7, f"text {i}") for i in range(100)]
+    rows = packing.pack_documents(spark.createDataFrame(docs, "doc_id long, text string"), path).collect()
+    check_packing(rows, docs, Tokenizer.from_file(path))
+    cells = {}
+    for r in rows:
+        cells[r.sequence_id >> 32] = cells.get(r.sequence_id >> 32, 0) + 1
+    assert len(cells) == 8 and max(cells.values()) < 100
+
+
 def test_local_search_improves():
     rng = np.random.default_rng(5)
     for low, high in ((1, 2048), (400, 1300), (600, 1100)):
@@ -335,6 +354,20 @@ def test_license_scan(spark, odd, nothing):
     assert license_scan.scan(odd).collect() == [] and license_scan.scan(nothing).collect() == []
 
 
+def test_license_scan_of_wrapped_text(spark, odd, nothing):
+    """Licence texts as they stand in source files: wrapped, and behind comment marks."""
+    grant = textwrap.fill(license_scan.SENTENCES["mit-grant"][0].capitalize(), 60) + ":"
+    condition = textwrap.fill(license_scan.SENTENCES["mit-condition"][0].capitalize(), 60) + "."
+    mit = f"MIT License\n\nCopyright (c) Somebody\n\n{grant}\n\n{condition}\n"
+    header = "Licensed under the Apache License, Version 2.0 (the \"License\");\nyou may not use this file except in compliance with the License.\nMore prose here."
+    commented = "".join(f"# {line}\n" for line in mit.split("\n"))
+    one_line = "Released under the MIT License. All rights reserved."
+    docs = spark.createDataFrame([(1, mit), (2, commented), (3, header), (4, one_line), (5, None), (6, "permission is\n\nhereby granted")], "doc_id long, text string")
+    got = {r.doc_id: (r.sentence_ids, r.licenses) for r in license_scan.scan(docs, wrapped=True).collect()}
+    assert got == {1: ("mit-grant|mit-condition", "MIT"), 2: ("mit-grant|mit-condition", "MIT"), 3: ("apache2-notice|apache2-use", "Apache-2.0"), 4: ("mit-notice|reserved", "MIT|Proprietary")}
+    assert license_scan.scan(odd, wrapped=True).collect() == [] and license_scan.scan(nothing, wrapped=True).collect() == []
+
+
 @pytest.mark.parametrize("text", [LONG, "é" * 10, " ".join(WORDS), "A  b\tC\x0bd\x0ce f"])
 def test_words_agree(spark, text):
     native = spark.createDataFrame([(text,)], "t string").select(decontamination.words(F.col("t")).alias("w")).first().w

@@ -5,6 +5,10 @@ one space), and mapped to the identifier of a known licence sentence. The identi
 text, are matched against ordered rules: a rule is a run of identifiers; the first rules are the most specific,
 and what a rule has matched later rules do not see. Only native functions; one narrow pass.
 
+By default a line feed ends a sentence. With wrapped=True only sentence ends and blank lines do: a sentence that runs
+over several lines (comment marks between them are no letters and fall away) is looked up whole, and line by line
+where it is not known so.
+
 Defined cases: a null or empty text has no sentence; repeated sentences count each time; sentences that are not
 known are skipped, so other prose may stand between licence sentences; repeated rows are rows; other columns
 are ignored.
@@ -66,24 +70,34 @@ RULES = [
 ]
 
 _BREAK = r"[.!?][\x20\x09-\x0D]+|\n"
+#: Where line feeds do not end a sentence, blank lines do; a line of comment marks alone counts as blank.
+_WRAPPED_BREAK = r"[.!?][\x20\x09-\x0D]+|\n[\x20\x09\x0D#*/;-]*(?=\n)"
 
 
 def known_sentences(sentences: dict[str, list[str]] = SENTENCES) -> dict[str, str]:
     return {s: name for name, group in sentences.items() for s in group}
 
 
-def identifiers(text: Column, known: dict[str, str]) -> Column:
+def _normal(s: Column) -> Column:
+    return F.btrim(F.regexp_replace(s, "[^a-z0-9]+", " "))
+
+
+def identifiers(text: Column, known: dict[str, str], wrapped: bool = False) -> Column:
     """Identifiers of the known sentences of a text, in its order."""
-    parts = F.split(F.lower(F.coalesce(text, F.lit(""))), _BREAK)
-    normal = F.transform(parts, lambda s: F.btrim(F.regexp_replace(s, "[^a-z0-9]+", " ")))
+    plain = F.lower(F.coalesce(text, F.lit("")))
+    if wrapped:
+        lines = lambda s: F.transform(F.split(s, "\n"), _normal)
+        normal = F.flatten(F.transform(F.split(plain, _WRAPPED_BREAK), lambda s: F.when(_normal(s).isin(list(known)), F.array(_normal(s))).otherwise(lines(s))))
+    else:
+        normal = F.transform(F.split(plain, _BREAK), _normal)
     hits = F.filter(normal, lambda s: s.isin(list(known)))
     named = F.create_map(*[F.lit(x) for pair in known.items() for x in pair])
     return F.transform(hits, lambda s: F.element_at(named, s))
 
 
-def scan(docs: DataFrame, key: str = "doc_id", text: str = "text", sentences: dict[str, list[str]] = SENTENCES, rules=RULES) -> DataFrame:
+def scan(docs: DataFrame, key: str = "doc_id", text: str = "text", sentences: dict[str, list[str]] = SENTENCES, rules=RULES, wrapped: bool = False) -> DataFrame:
     """Documents with a known sentence: key, n_sentences, sentence_ids, licenses (joined by |, in the order of the rules)."""
-    found = docs.select(F.col(key), identifiers(F.col(text), known_sentences(sentences)).alias("ids")).filter(F.size("ids") > 0)
+    found = docs.select(F.col(key), identifiers(F.col(text), known_sentences(sentences), wrapped).alias("ids")).filter(F.size("ids") > 0)
     found = found.withColumn("rest", F.concat(F.lit("|"), F.array_join("ids", "||"), F.lit("|"))).withColumn("licenses", F.array().cast("array<string>"))
     for name, run in rules:
         piece = F.lit("".join(f"|{x}|" for x in run))
