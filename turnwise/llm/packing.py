@@ -6,8 +6,9 @@ moves one item, exchanges one for one, or two for one, between underfull bins. A
 of squared fills grows; the emptiest bins lose items until they are empty. A cell leaves at most a few
 underfull bins, so cells cost next to nothing against one global packing, and a lost executor repeats a cell.
 
-Texts of plain characters are cut into words here and each distinct word is encoded once per worker by the
-library; a text with any other character or with the string of a special token is encoded whole by the library.
+Texts of plain characters are cut at white space, which no word of the tokenizer crosses, and a worker remembers the
+ids of distinct chunks; a text with any other character or with the string of a special token is encoded whole by the
+library.
 
 Defined cases: a null or empty text is the end id alone; repeated rows are packed as rows of their own; very
 long texts give as many pieces as they need; an empty table gives an empty result; other columns are ignored.
@@ -17,6 +18,7 @@ from __future__ import annotations
 
 import math
 import re
+import struct
 import zlib
 
 import numpy as np
@@ -30,7 +32,7 @@ by_value(__name__)
 
 CAPACITY = 2048
 END_ID = 0
-#: Documents of a cell, and words remembered per worker.
+#: Documents of a cell, and chunks remembered per worker.
 CELL_DOCS = 50_000
 MEMO = 100_000
 #: The local search ends after so many bins in a row that it could not empty.
@@ -38,6 +40,7 @@ STALL = 300
 
 _UNUSUAL = re.compile("[^\\t\\n\\r\\x20-\\x7eÀ-ÖØ-öø-ÿ]")
 _WORD = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_]+|[0-9]|(?:[^\s\w]|_)+")
+_JOINED = re.compile(r"'|[^\w\s][^\w\s]|_[^\w\s]|[^\w\s]_")
 
 
 class Encoder:
@@ -51,38 +54,50 @@ class Encoder:
 
         self.library = Tokenizer.from_file(path)
         self.special = [t.content for t in self.library.get_added_tokens_decoder().values()]
+        self.merge = self.library.model.tokenize
+        # the tokenizer's own name of each letter's bytes
+        self.letters = {n: "".join(w for w, _ in self.library.pre_tokenizer.pre_tokenize_str(chr(n))) for n in (*range(0x61, 0x7B), *range(0xC0, 0x100)) if chr(n).isalpha()}
         self.memo: dict[str, bytes] = {}
-        vocabulary = self.library.get_vocab(with_added_tokens=False)
-        self.closes = np.zeros(max(vocabulary.values()) + 1, dtype=bool)  # ids that end a word
-        self.closes[[i for t, i in vocabulary.items() if t.endswith("</w>")]] = True
-        del vocabulary
         trim()  # what reading the file left behind
 
-    def learn(self, words: list[str]) -> None:
-        """Encode distinct words: letter words in one text, since their ends show in the ids; others one by one."""
-        letters, others = [w for w in words if w[0].isalpha()], [w for w in words if not w[0].isalpha()]
+    def learn(self, chunks: list[str]) -> None:
+        """Encode distinct chunks: words of letters are merged at once, signs and digits go to the library, one by one."""
+        memo = self.memo
+        mixed = {c: _WORD.findall(c) for c in chunks if not c.isalpha()}
+        words = [c for c in chunks if c.isalpha()]
+        parts = set().union(*mixed.values()).difference(memo, words)
+        words += [w for w in parts if w.isalpha()]
+        others = [w for w in parts if not w.isalpha()]
         for word, e in zip(others, self.library.encode_batch(others, add_special_tokens=False), strict=True):
-            self.memo[word] = np.asarray(e.ids, dtype="<u4").tobytes()
-        if letters:
-            ids = np.asarray(self.library.encode(" ".join(letters), add_special_tokens=False).ids, dtype="<u4")
-            ends = (np.flatnonzero(self.closes[ids]) + 1) * 4
-            raw, starts = ids.tobytes(), [0, *ends[:-1].tolist()]
-            self.memo.update(zip(letters, (raw[a:b] for a, b in zip(starts, ends.tolist(), strict=True)), strict=True))
+            memo[word] = np.asarray(e.ids, dtype="<u4").tobytes()
+        if words:
+            merged = map(self.merge, " ".join(words).translate(self.letters).split(" "))
+            memo.update(zip(words, (struct.pack(f"<{len(m)}I", *[t.id for t in m]) for m in merged), strict=True))
+        memo.update((c, b"".join([memo[w] for w in of])) for c, of in mixed.items())
+
+    def chunks(self, text: str) -> list[str] | None:
+        """The text's chunks, fewer distinct ones where its signs stand alone; None: only the library can cut it."""
+        if _UNUSUAL.search(text) or any(s in text for s in self.special):
+            return None
+        text = text.lower()
+        if not _JOINED.search(text):  # each sign is a word of its own
+            for sign in ".,;:!?-":
+                text = text.replace(sign, f" {sign} ")
+        return text.split()
 
     def whole(self, text: str) -> bytes:
         return np.asarray(self.library.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
 
     def encode_all(self, texts: list[str]) -> list[bytes]:
-        cut = [None if _UNUSUAL.search(t) or any(s in t for s in self.special) else _WORD.findall(t.lower()) for t in texts]
-        memo = self.memo
-        new = {w for words in cut if words for w in set(words) if w not in memo}
-        if len(memo) + len(new) > MEMO:
+        cut = [self.chunks(t) for t in texts]
+        new = set().union(*(c for c in cut if c)).difference(self.memo)
+        if len(self.memo) + len(new) > MEMO:
             self.memo = {}
-            new = {w for words in cut if words for w in words}
+            new = set().union(*(c for c in cut if c))
         if new:
             self.learn(list(new))
         get = self.memo.__getitem__
-        return [self.whole(t) if words is None else b"".join(map(get, words)) for t, words in zip(texts, cut, strict=True)]
+        return [self.whole(t) if chunks is None else b"".join(map(get, chunks)) for t, chunks in zip(texts, cut, strict=True)]
 
 
 def worker_encoder(path: str) -> Encoder:
