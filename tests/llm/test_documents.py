@@ -2,6 +2,7 @@
 
 import hashlib
 import itertools
+import random
 import re
 import textwrap
 import zlib
@@ -244,6 +245,22 @@ def test_packing(spark, small, odd, nothing):
     assert packing.pack_documents(nothing, path).collect() == []
 
 
+def test_packing_encoder(monkeypatch):
+    """Ids as the library gives them: mixed chunks, signs in runs, contractions, letters of two bytes, long chunks, a full memory."""
+    encoder = packing.Encoder(queries.tokenizer_path("word_bpe_49k.json"))
+    draw = random.Random(5)
+    signs = "abcdestmrvlABZ'’  \n\t019_.,!?-éßüÄÿ日"
+    texts = ["".join(draw.choice(signs) for _ in range(draw.randint(0, 80))) for _ in range(3000)]
+    texts += ["", " \x0b ", "I'm don't we'LL 'sup 's's'd", "a... b,c. d_.e", "<|startoftext|> a", "x<|endoftext|>", "Ab1+/" * 20_000, "é" * 3_000]
+    for chars in (packing.MEMO_CHARS, 500):
+        monkeypatch.setattr(packing, "MEMO_CHARS", chars)
+        for k in range(0, len(texts), 64):
+            part = texts[k : k + 64]
+            assert encoder.encode_all(part) == [encoder.whole(t) for t in part]
+        # what is remembered is at most the bound, or one batch's own chunks
+        assert encoder.held <= max(chars, sum(map(len, part)))
+
+
 def test_packing_spreads_one_id(spark, monkeypatch):
     """Rows without an id, and copies of one row, go to all cells."""
     monkeypatch.setattr(packing, "CELL_DOCS", 50)

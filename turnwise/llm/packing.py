@@ -32,9 +32,10 @@ by_value(__name__)
 
 CAPACITY = 2048
 END_ID = 0
-#: Documents of a cell, and chunks remembered per worker.
+#: Documents of a cell; chunks and their characters remembered per worker.
 CELL_DOCS = 50_000
 MEMO = 100_000
+MEMO_CHARS = 1_600_000
 #: The local search ends after so many bins in a row that it could not empty.
 STALL = 300
 
@@ -58,6 +59,7 @@ class Encoder:
         # the tokenizer's own name of each letter's bytes
         self.letters = {n: "".join(w for w, _ in self.library.pre_tokenizer.pre_tokenize_str(chr(n))) for n in (*range(0x61, 0x7B), *range(0xC0, 0x100)) if chr(n).isalpha()}
         self.memo: dict[str, bytes] = {}
+        self.held = 0  # characters of the chunks in memo
         trim()  # what reading the file left behind
 
     def learn(self, chunks: list[str]) -> None:
@@ -91,10 +93,11 @@ class Encoder:
     def encode_all(self, texts: list[str]) -> list[bytes]:
         cut = [self.chunks(t) for t in texts]
         new = set().union(*(c for c in cut if c)).difference(self.memo)
-        if len(self.memo) + len(new) > MEMO:
-            self.memo = {}
+        if len(self.memo) + len(new) > MEMO or self.held + sum(map(len, new)) > MEMO_CHARS:
+            self.memo, self.held = {}, 0
             new = set().union(*(c for c in cut if c))
         if new:
+            self.held += sum(map(len, new))
             self.learn(list(new))
         get = self.memo.__getitem__
         return [self.whole(t) if chunks is None else b"".join(map(get, chunks)) for t, chunks in zip(texts, cut, strict=True)]
