@@ -2,9 +2,7 @@
 
 from __future__ import annotations
 
-import re
 import sys
-import tempfile
 import types
 import uuid
 
@@ -12,6 +10,8 @@ from pyspark import cloudpickle
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..sources.io import cut, shared_folder  # noqa: F401  the operators take cut from here
+
 #: The ASCII white space of the contracts: space, and tab to carriage return.
 SPACES = r"[\x20\x09-\x0D]+"
 
@@ -57,20 +57,6 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_folder(spark: SparkSession) -> None:
-    """Use the session's spark.checkpoint.dir; only in local mode, where that is unset (tests, a laptop), make a local one."""
-    if not spark.conf.get("spark.checkpoint.dir", None) and spark.sparkContext._jsc.sc().getCheckpointDir().isEmpty():
-        if not re.fullmatch(r"local(\[[^\]]*\])?", spark.sparkContext.master):
-            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="turnwise-checkpoint-"))
-
-
-def cut(df: DataFrame) -> DataFrame:
-    """Reliable checkpoint: the rows are on shared storage, so a lost executor costs nothing that came before."""
-    shared_folder(df.sparkSession)
-    return df.checkpoint(eager=True)
-
-
 def written(df: DataFrame) -> tuple[DataFrame, str]:
     """df as a Parquet table in the shared folder (smaller than a checkpoint), and its path, for removed()."""
     spark = df.sparkSession
