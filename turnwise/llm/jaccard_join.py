@@ -16,7 +16,7 @@ here on; (2) tokens, as packed blocks dealt to buckets; those that only one set
 know how many sets show them; (3) of the h shared tokens of a set of which a are asked for, the h - a + 1 rarest
 are kept: two linked sets have at least a in common, so also one among the kept of both. A passage that many
 documents hold gives each of them fewer tokens than asked for, so they leave without any pair being looked at;
-(4) sets that keep a token in common are in one bundle (components of the stars of the tokens); (5) a bundle's
+(4) sets that keep a token in common are in one bundle (rounds in which names merge and their rows with them); (5) a bundle's
 sets meet in one task, in the order of their sizes: pairs not yet connected whose one-bit parity sketches differ
 in more than D bits are passed over, for that Hamming distance is a lower bound of the symmetric difference; the
 others are verified on the shingles. A task returns one link for each set at most, whatever the number of pairs;
@@ -279,31 +279,33 @@ def rarest(shared: DataFrame) -> DataFrame:
     return ranked.filter("rank <= had - asked + 1").select("name", "token")
 
 
-def bundled(kept: DataFrame, buckets: int) -> DataFrame:
-    """(a, b), a <= b: b keeps a token together with a; in each bucket of tokens one pair for each set."""
+def flattened(up: DataFrame) -> DataFrame:
+    """root, to: where each label ends that is sent to a lower one, or to itself."""
+    while True:
+        after = cut(up.join(up.toDF("to", "far"), "to").select("root", F.col("far").alias("to"), (F.col("far") < F.col("to")).alias("moved")))
+        up = after.select("root", "to")
+        if after.filter("moved").isEmpty():
+            return up
 
-    def stars(table: pa.Table) -> pa.Table:
-        name, token = (table.column(c).to_numpy() for c in ("name", "token"))
-        names, at = np.unique(name, return_inverse=True)
-        order = np.argsort(token, kind="stable")
-        at, token = at[order], token[order]
-        first = np.flatnonzero(np.concatenate(([True], token[1:] != token[:-1])))
-        size = np.diff(first, append=len(token))
-        group = np.repeat(np.arange(len(first)), size)
-        root = np.arange(len(names))
-        while True:  # least labels spread through the groups, then to the label's label
-            low = np.minimum.reduceat(root[at], first)
-            after = root.copy()
-            np.minimum.at(after, at, low[group])
-            after = after[after]
-            if (after == root).all():
-                break
-            root = after
-        met = np.zeros(len(names), dtype=bool)
-        met[at[np.repeat(size, size) > 1]] = True
-        return pa.table([pa.array(names[root[met]]), pa.array(names[met])], names=["a", "b"])
-
-    return kept.groupBy(F.pmod(F.xxhash64("token"), F.lit(buckets)).alias("bucket")).applyInArrow(stars, "a long, b long").distinct()
+
+def bundled(kept: DataFrame) -> DataFrame:
+    """name, bundle (its least name) of every set that keeps a token in common with another one.
+
+    Rounds on the rows (set, token) themselves: a set goes to the least one with which it shares a token, the rows take
+    the new names, and those of tokens that only one name holds leave. So no round has more rows than kept has.
+    """
+    rows, bundles = kept.select(F.col("name").alias("root"), "token"), None
+    while True:
+        open_ = rows.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo < hi").select("token", "lo")
+        rows = cut(rows.join(open_, "token"))
+        if bundles is not None and rows.isEmpty():
+            return bundles
+        up = flattened(cut(rows.groupBy("root").agg(F.min("lo").alias("to"))))
+        if bundles is None:
+            bundles = up.toDF("name", "bundle")
+        else:
+            bundles = cut(bundles.join(up.toDF("bundle", "to"), "bundle", "left").select("name", F.coalesce("to", "bundle").alias("bundle")))
+        rows = rows.join(up, "root").select(F.col("to").alias("root"), "token").distinct()
 
 
 def sets_of(docs: DataFrame, rows: DataFrame, key: str, text: str) -> DataFrame:
@@ -441,9 +443,8 @@ def linked(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFram
     total = named.agg(F.sum("n_shingles")).first()[0] or 0
     buckets = max(1, math.ceil(total * 0.6 / KEYS_PER_BUCKET))
     kept, path = written(rarest(shared_tokens(docs, text, buckets)))
-    edges = cut(bundled(kept, max(1, math.ceil(kept.count() / KEYS_PER_BUCKET * 4))))
     meta = named.filter("name is not null").groupBy("name").agg(F.min("row").alias("row"), F.greatest(F.max("n_shingles"), F.lit(LEAST_WEIGHT)).alias("n"))
-    placed = cut(components(edges).withColumnRenamed("root", "bundle").join(meta, "name"))
+    placed = cut(bundled(kept).join(meta, "name"))
     large = placed.groupBy("bundle").agg(F.sum("n").alias("n")).filter(F.col("n") > MOST_SHINGLES).select("bundle")
     large = cut(placed.join(large, "bundle", "left_semi"))
     tasks = max(1, math.ceil((placed.agg(F.sum("n")).first()[0] or 0) / TASK_SHINGLES))
