@@ -3,7 +3,7 @@
 import duckdb
 import pytest
 
-from turnwise.plans import panels
+from turnwise.plans import construction, panels
 
 
 @pytest.fixture()
@@ -34,3 +34,10 @@ def test_parts_without_key_or_name(spark, tmp_path):
     con.execute(f"COPY (SELECT * FROM (VALUES (2, 'b c'), (NULL, 'c d'), (1, 'a b'), (3, NULL), (4, 'd e')) t(p_partkey, p_name)) TO '{tmp_path}/part.parquet'")
     rows = panels.chain_qualified(spark, str(tmp_path)).collect()
     assert {(r.part_key, r.verdict) for r in rows if r.part_key in (1, 2, 4)} == {(1, "transformed"), (4, "transformed")}  # 2: the next part has no name
+
+
+@pytest.mark.parametrize("name", ["triplets", "triplet_violations", "audit_sample"])
+def test_plans_of_construction_are_short(spark, small, name):
+    """The driver describes every plan again at each of its steps: what is cut off must not be told again."""
+    plan = construction.QUERIES[name](spark, small)._jdf.queryExecution().toString()
+    assert len(plan) < 300_000
