@@ -261,6 +261,28 @@ def test_packing_encoder(monkeypatch):
         assert encoder.held <= max(chars, sum(map(len, part)))
 
 
+def test_packing_learns_a_word_once(monkeypatch):
+    """While the memory lasts, no chunk is encoded twice; a full one keeps at most the last batch; slices, nulls, no texts."""
+    import pyarrow as pa
+
+    encoder = packing.Encoder(queries.tokenizer_path("word_bpe_49k.json"))
+    learned, learn = [], encoder.learn
+    monkeypatch.setattr(encoder, "learn", lambda chunks: learned.extend(chunks) or learn(chunks))
+    letters = [chr(97 + n % 26) + chr(97 + n // 26 % 26) + chr(97 + n // 676 % 26) + chr(97 + n // 17576) for n in range(120_000)]
+    texts = [" ".join(letters[k : k + 2000]) for k in range(0, 120_000, 2000)]
+    first = encoder.encode_all(texts)
+    assert len(learned) == len(set(learned)) == 120_000
+    assert encoder.encode_all(texts) == first and len(learned) == 120_000
+    assert first[7] == encoder.whole(texts[7])
+    monkeypatch.setattr(packing, "MEMO", 2500)
+    assert encoder.encode_all([texts[3], "new one"]) == [first[3], encoder.whole("new one")] and len(encoder.words) == 2002
+    assert encoder.encode_all(texts) == first and len(encoder.words) == encoder.held == 0
+    column = pa.array(["out", None, "", " a, b ", "日 x", "a's"]).slice(1)
+    assert encoder.encode(column) == [encoder.whole(t or "") for t in column.to_pylist()]
+    assert encoder.encode_all([]) == [] and encoder.encode_all(["", " "]) == [b"", b""]
+    assert [p.to_pylist() for p in packing.batched(pa.array(["aaaa", None, "", "b", "cc", "ddddd", "e"]).slice(1), 3)] == [[None, "", "b", "cc"], ["ddddd"], ["e"]]
+
+
 def test_packing_spreads_one_id(spark, monkeypatch):
     """Rows without an id, and copies of one row, go to all cells."""
     monkeypatch.setattr(packing, "CELL_DOCS", 50)

@@ -6,9 +6,10 @@ moves one item, exchanges one for one, or two for one, between underfull bins. A
 of squared fills grows; the emptiest bins lose items until they are empty. A cell leaves at most a few
 underfull bins, so cells cost next to nothing against one global packing, and a lost executor repeats a cell.
 
-Texts of plain characters are cut at white space, which no word of the tokenizer crosses, and a worker remembers the
-ids of distinct chunks; a text with any other character or with the string of a special token is encoded whole by the
-library.
+Texts of plain characters are cut at white space, which no word of the tokenizer crosses, in Arrow columns: only the
+distinct chunks of a batch become Python strings, and of those only the ones that the worker does not remember, as two
+Arrow columns of words and ids. A text with any other character or with the string of a special token is encoded whole
+by the library.
 
 Defined cases: a null or empty text is the end id alone; repeated rows are packed as rows of their own; very
 long texts give as many pieces as they need; an empty table gives an empty result; other columns are ignored.
@@ -18,11 +19,12 @@ from __future__ import annotations
 
 import math
 import re
-import struct
 import zlib
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -32,16 +34,23 @@ by_value(__name__)
 
 CAPACITY = 2048
 END_ID = 0
-#: Documents of a cell; chunks and their characters remembered per worker.
+#: Documents of a cell; chunks and their characters remembered per worker; bytes of texts encoded at once (a longer text alone).
 CELL_DOCS = 50_000
-MEMO = 100_000
-MEMO_CHARS = 1_600_000
+MEMO = 400_000
+MEMO_CHARS = 4_000_000
+BATCH_BYTES = 2_000_000
 #: The local search ends after so many bins in a row that it could not empty.
 STALL = 300
 
-_UNUSUAL = re.compile("[^\\t\\n\\r\\x20-\\x7eÀ-ÖØ-öø-ÿ]")
+_UNUSUAL = "[^\\t\\n\\r\\x20-\\x7eÀ-ÖØ-öø-ÿ]"
+_JOINED = r"'|[!-/:-@\[-`{-~]{2}"
 _WORD = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_]+|[0-9]|(?:[^\s\w]|_)+")
-_JOINED = re.compile(r"'|[^\w\s][^\w\s]|_[^\w\s]|[^\w\s]_")
+
+
+def runs(start: np.ndarray, length: np.ndarray) -> np.ndarray:
+    """The places of all runs (start, length), one run after the other."""
+    ends = np.cumsum(length)
+    return np.repeat(start - ends + length, length) + np.arange(ends[-1] if len(ends) else 0)
 
 
 class Encoder:
@@ -58,49 +67,83 @@ class Encoder:
         self.merge = self.library.model.tokenize
         # the tokenizer's own name of each letter's bytes
         self.letters = {n: "".join(w for w, _ in self.library.pre_tokenizer.pre_tokenize_str(chr(n))) for n in (*range(0x61, 0x7B), *range(0xC0, 0x100)) if chr(n).isalpha()}
-        self.memo: dict[str, bytes] = {}
-        self.held = 0  # characters of the chunks in memo
+        self.remember(pa.array([], pa.large_string()), np.zeros(0, "<u4"), np.zeros(0, np.int64))
         trim()  # what reading the file left behind
 
-    def learn(self, chunks: list[str]) -> None:
-        """Encode distinct chunks: words of letters are merged at once, signs and digits go to the library, one by one."""
-        memo = self.memo
+    def remember(self, words: pa.Array, ids: np.ndarray, count: np.ndarray) -> None:
+        """Distinct chunks, their ids one after the other, and how many each has."""
+        self.words, self.ids, self.count = words, ids, count
+        self.held = pc.sum(pc.utf8_length(words)).as_py() or 0  # characters
+
+    def merged(self, words: list[str]) -> list[list[int]]:
+        """The ids of words of letters."""
+        return [[t.id for t in self.merge(w)] for w in " ".join(words).translate(self.letters).split(" ")] if words else []
+
+    def learn(self, chunks: list[str]) -> list[list[int]]:
+        """The ids of distinct chunks: words of letters are merged at once, signs and digits go to the library, one by one."""
         mixed = {c: _WORD.findall(c) for c in chunks if not c.isalpha()}
         words = [c for c in chunks if c.isalpha()]
-        parts = set().union(*mixed.values()).difference(memo, words)
-        words += [w for w in parts if w.isalpha()]
+        found = dict(zip(words, self.merged(words), strict=True))
+        parts = set().union(*mixed.values()).difference(found)
+        words = [w for w in parts if w.isalpha()]
+        found.update(zip(words, self.merged(words), strict=True))
         others = [w for w in parts if not w.isalpha()]
-        for word, e in zip(others, self.library.encode_batch(others, add_special_tokens=False), strict=True):
-            memo[word] = np.asarray(e.ids, dtype="<u4").tobytes()
-        if words:
-            merged = map(self.merge, " ".join(words).translate(self.letters).split(" "))
-            memo.update(zip(words, (struct.pack(f"<{len(m)}I", *[t.id for t in m]) for m in merged), strict=True))
-        memo.update((c, b"".join([memo[w] for w in of])) for c, of in mixed.items())
-
-    def chunks(self, text: str) -> list[str] | None:
-        """The text's chunks, fewer distinct ones where its signs stand alone; None: only the library can cut it."""
-        if _UNUSUAL.search(text) or any(s in text for s in self.special):
-            return None
-        text = text.lower()
-        if not _JOINED.search(text):  # each sign is a word of its own
-            for sign in ".,;:!?-":
-                text = text.replace(sign, f" {sign} ")
-        return text.split()
+        found.update(zip(others, (e.ids for e in self.library.encode_batch(others, add_special_tokens=False)), strict=True))
+        return [list(chain.from_iterable(found[w] for w in mixed[c])) if c in mixed else found[c] for c in chunks]
+
+    def known(self, chunks: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Ids of distinct chunks, and where each chunk's begin and how many they are; new chunks are learned and remembered."""
+        at = pc.fill_null(pc.index_in(chunks, self.words), -1).to_numpy()
+        fresh = pc.filter(chunks, pa.array(at < 0))
+        learned = self.learn(fresh.to_numpy(zero_copy_only=False).tolist())
+        at = at.astype(np.int64)
+        at[at < 0] = len(self.words) + np.arange(len(learned))
+        ids = np.concatenate([self.ids, np.fromiter(chain.from_iterable(learned), "<u4")])
+        count = np.concatenate([self.count, np.fromiter(map(len, learned), np.int64, len(learned))])
+        start = (np.cumsum(count) - count)[at]
+        self.remember(pa.concat_arrays([self.words, fresh]), ids, count)
+        if len(self.words) > MEMO or self.held > MEMO_CHARS:  # anew, with what this batch has
+            self.remember(chunks, ids[runs(start, count[at])], count[at])
+            if len(self.words) > MEMO or self.held > MEMO_CHARS:
+                self.remember(self.words[:0], self.ids[:0], self.count[:0])
+        return ids, start, count[at]
 
     def whole(self, text: str) -> bytes:
         return np.asarray(self.library.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
 
+    def encode(self, texts: pa.Array) -> list[bytes]:
+        texts = texts.cast(pa.large_string()).fill_null("")
+        whole = pc.match_substring_regex(texts, _UNUSUAL)
+        for s in self.special:
+            whole = pc.or_(whole, pc.match_substring(texts, s))
+        cut = pc.utf8_lower(pc.if_else(whole, "", texts))
+        alone = cut
+        for sign in ".,;:!?-":
+            alone = pc.replace_substring(alone, sign, f" {sign} ")
+        # fewer distinct chunks where each sign is a word of its own
+        words = pc.ascii_split_whitespace(pc.if_else(pc.match_substring_regex(cut, _JOINED), cut, alone))
+        flat = words.flatten()
+        flat = pc.if_else(pc.equal(flat, ""), None, flat).dictionary_encode()
+        ids, start, count = self.known(flat.dictionary)
+        where = flat.indices
+        used = np.concatenate([[0], np.cumsum(pc.fill_null(pc.take(pa.array(count), where), 0).to_numpy())])
+        where = where.drop_null().to_numpy()
+        out = ids[runs(start[where], count[where])].tobytes()
+        ends = (4 * used[words.offsets.to_numpy() - words.offsets[0].as_py()]).tolist()
+        return [self.whole(texts[i].as_py()) if w else out[ends[i] : ends[i + 1]] for i, w in enumerate(whole.to_pylist())]
+
     def encode_all(self, texts: list[str]) -> list[bytes]:
-        cut = [self.chunks(t) for t in texts]
-        new = set().union(*(c for c in cut if c)).difference(self.memo)
-        if len(self.memo) + len(new) > MEMO or self.held + sum(map(len, new)) > MEMO_CHARS:
-            self.memo, self.held = {}, 0
-            new = set().union(*(c for c in cut if c))
-        if new:
-            self.held += sum(map(len, new))
-            self.learn(list(new))
-        get = self.memo.__getitem__
-        return [self.whole(t) if chunks is None else b"".join(map(get, chunks)) for t, chunks in zip(texts, cut, strict=True)]
+        return self.encode(pa.array(texts, pa.large_string()))
+
+
+def batched(texts: pa.Array, most: int | None = None):
+    """Slices of at most BATCH_BYTES, or of one text."""
+    ends = np.cumsum(pc.fill_null(pc.binary_length(texts), 0).to_numpy().astype(np.int64))
+    k = 0
+    while k < len(texts):
+        n = max(k + 1, int(np.searchsorted(ends, (ends[k - 1] if k else 0) + (most or BATCH_BYTES), "right")))
+        yield texts.slice(k, n - k)
+        k = n
 
 
 def worker_encoder(path: str) -> Encoder:
@@ -118,7 +161,7 @@ def pieces(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, end_id: in
         encoder = worker_encoder(tokenizer)
         for batch in batches:
             rows, piece, start, length, crc = [], [], [], [], []
-            encoded = (e for k in range(0, batch.num_rows, 64) for e in encoder.encode_all([t or "" for t in batch.column(1).slice(k, 64).to_pylist()]))
+            encoded = (e for part in batched(batch.column(1)) for e in encoder.encode(part))
             for i, ids in enumerate(encoded):
                 if i % 2048 == 2047:
                     trim()
