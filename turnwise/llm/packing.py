@@ -34,11 +34,13 @@ by_value(__name__)
 
 CAPACITY = 2048
 END_ID = 0
-#: Documents of a cell; chunks and their characters remembered per worker; bytes of texts encoded at once (a longer text alone).
+#: Documents of a cell; chunks and their characters remembered per worker; bytes of texts encoded at once (a longer
+#: text alone), and new chunks.
 CELL_DOCS = 50_000
-MEMO = 400_000
-MEMO_CHARS = 4_000_000
-BATCH_BYTES = 2_000_000
+MEMO = 200_000
+MEMO_CHARS = 2_000_000
+BATCH_BYTES = 1_000_000
+LEARN = 4096
 #: The local search ends after so many bins in a row that it could not empty.
 STALL = 300
 
@@ -95,11 +97,14 @@ class Encoder:
         """Ids of distinct chunks, and where each chunk's begin and how many they are; new chunks are learned and remembered."""
         at = pc.fill_null(pc.index_in(chunks, self.words), -1).to_numpy()
         fresh = pc.filter(chunks, pa.array(at < 0))
-        learned = self.learn(fresh.to_numpy(zero_copy_only=False).tolist())
+        ids, count = [self.ids], [self.count]
+        for k in range(0, len(fresh), LEARN):  # lists of ids take far more memory than their arrays
+            learned = self.learn(fresh.slice(k, LEARN).to_numpy(zero_copy_only=False).tolist())
+            ids.append(np.fromiter(chain.from_iterable(learned), "<u4"))
+            count.append(np.fromiter(map(len, learned), np.int64, len(learned)))
+        ids, count = np.concatenate(ids), np.concatenate(count)
         at = at.astype(np.int64)
-        at[at < 0] = len(self.words) + np.arange(len(learned))
-        ids = np.concatenate([self.ids, np.fromiter(chain.from_iterable(learned), "<u4")])
-        count = np.concatenate([self.count, np.fromiter(map(len, learned), np.int64, len(learned))])
+        at[at < 0] = np.arange(len(self.words), len(count))
         start = (np.cumsum(count) - count)[at]
         self.remember(pa.concat_arrays([self.words, fresh]), ids, count)
         if len(self.words) > MEMO or self.held > MEMO_CHARS:  # anew, with what this batch has
